@@ -2,10 +2,16 @@
 
 from __future__ import annotations
 
-from corpus_audit.llm import near_dup, quality
+from corpus_audit.llm import extraction, language, line_dedup, media, near_dup, packing, quality, sharding
 
 QUERIES = {
+    "op2_line_dedup": line_dedup.op2_line_dedup,
+    "op3_media": media.op3_media,
+    "op4_sharding": sharding.op4_sharding,
+    "op5_extraction": extraction.op5_extraction,
+    "op6_language": language.op6_language,
     "op7_quality": quality.op7_quality,
     "op9_near_dup": near_dup.op9_near_dup,
+    "op10_pack": packing.op10_pack,
 }
 ORACLES = {"op7_quality": quality.OP7_SQL}
