@@ -1,14 +1,18 @@
 """Near duplicates by min-hash signatures and a multi-index Hamming join.
 
-A signature has ``SYMBOLS`` symbols of 16 bits. Two texts of similarity 0.75 differ in a quarter
-of them on average; the join promises every pair that differs in at most ``DISTANCE`` symbols
-(for a pair at exactly 0.75 the chance to differ in more is about 1e-5, and it falls steeply
-above). By the pigeonhole principle one of the ``SYMBOLS / CHUNK`` chunks of such a pair holds at
-most one differing symbol, so each chunk is indexed once per symbol left out.
-
-Pairs are never expanded inside a bucket: each member is first held against the bucket's smallest
-member, confirmed links are contracted to components, and only members of different components
-that still share a bucket are compared with each other. Links are confirmed on full shingle sets.
+A signature comes from ``SYMBOLS`` min-hashes; two texts of similarity 0.75 differ in a quarter of
+them on average. Of the first ``INDEXED`` ones 16 bits are kept, and the join promises every pair
+that differs in at most ``DISTANCE`` of these symbols: by the pigeonhole principle one of the
+``INDEXED / CHUNK`` chunks of such a pair holds at most one differing symbol, so each chunk is
+indexed once per symbol left out. Of all min-hashes 2 bits are kept as a check: pairs met in the
+index go on if at most ``CHECK_BITS`` of these bits differ, and are then confirmed on full
+shingle sets. A pair at exactly 0.75 passes each of the two bounds but for a chance of about 1e-5,
+which falls steeply above.
+
+Pairs are never expanded inside a bucket as long as its members may still come together: in each
+of ``ROUNDS`` rounds every bucket has one pivot, the members of other components are held against
+it, each of them tries its ``TRIES`` most similar pivots, and confirmed links are contracted to components.
+Only then are members of different components that share a bucket compared with each other.
 """
 
 from __future__ import annotations
@@ -25,8 +29,11 @@ from corpus_audit.llm import kernels as K
 from corpus_audit.llm.common import discard, materialize, small_side, whole_text
 from corpus_audit.llm.graph import connected_components
 
-SYMBOLS, CHUNK, DISTANCE = 64, 4, 31
-LANES = SYMBOLS // 4
+SYMBOLS, CHECK_BITS = 512, 184
+INDEXED, CHUNK, DISTANCE = 64, 4, 31
+ROUNDS, TRIES = 2, 4
+INDEX_LANES, CHECK_LANES = INDEXED // 4, SYMBOLS // 32
+LANES = [*(f"s{i}" for i in range(INDEX_LANES)), *(f"c{i}" for i in range(CHECK_LANES))]
 _seeds = np.random.default_rng(977)
 _MULTIPLY = (_seeds.integers(1, 2**31, SYMBOLS, dtype=np.uint32) * np.uint32(2) + np.uint32(1))[:, None]
 _FLIP = _seeds.integers(0, 2**32, SYMBOLS, dtype=np.uint32)[:, None]
@@ -36,12 +43,12 @@ def min_hashes(shingles: np.ndarray) -> np.ndarray:
     """The signature of one shingle set: the lowest value under each permutation, cut to 16 mixed bits."""
     x = (shingles >> np.uint64(32)).astype(np.uint32)
     least = np.full(SYMBOLS, 2**32 - 1, dtype=np.uint32)
-    for i in range(0, len(x), 4096):
-        np.minimum(least, ((x[None, i : i + 4096] ^ _FLIP) * _MULTIPLY).min(axis=1), out=least)
+    for i in range(0, len(x), 512):
+        np.minimum(least, ((x[None, i : i + 512] ^ _FLIP) * _MULTIPLY).min(axis=1), out=least)
     return ((least * np.uint32(0x9E3779B1)) >> np.uint32(16)).astype(np.uint16)
 
 
-_SIGNED = "doc_id long, n_shingles long, d1 long, d2 long, " + ", ".join(f"s{i} long" for i in range(LANES))
+_SIGNED = "doc_id long, n_shingles long, d1 long, d2 long, " + ", ".join(f"{x} long" for x in LANES)
 
 
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -58,21 +65,24 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 if a < b:
                     own = K.shingle_set(words.hash[a:b], windows[a:])
                     sizes[k], digests[k], signed[k] = len(own), K.sequence_digest(words.hash[a:b]), min_hashes(own)
-        lanes = signed.view(np.int64)
+        index = np.ascontiguousarray(signed[:, :INDEXED]).view(np.int64)
+        low = (signed & 3).astype(np.uint8)
+        check = np.ascontiguousarray(low[:, ::4] | low[:, 1::4] << 2 | low[:, 2::4] << 4 | low[:, 3::4] << 6).view(np.int64)
+        lanes = np.concatenate([index, check], axis=1)
         yield pa.RecordBatch.from_arrays(
-            [batch.column("doc_id"), pa.array(sizes), pa.array(digests[:, 0].copy()), pa.array(digests[:, 1].copy()), *(pa.array(lanes[:, i].copy()) for i in range(LANES))],
-            names=["doc_id", "n_shingles", "d1", "d2", *(f"s{i}" for i in range(LANES))],
+            [batch.column("doc_id"), pa.array(sizes), pa.array(digests[:, 0].copy()), pa.array(digests[:, 1].copy()), *(pa.array(lanes[:, i].copy()) for i in range(len(LANES)))],
+            names=["doc_id", "n_shingles", "d1", "d2", *LANES],
         )
 
 
 def signatures(docs: DataFrame) -> DataFrame:
-    """One row per document: set size, a 128-bit digest of its folded words, and its signature in 16 longs."""
+    """One row per document: set size, a 128-bit digest of its folded words, and its signature, four symbols to a long."""
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text")).mapInArrow(_sign, _SIGNED)
 
 
 def _index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        lanes = np.stack([batch.column(f"s{i}").to_numpy() for i in range(LANES)], axis=1)
+        lanes = np.stack([batch.column(f"s{i}").to_numpy() for i in range(INDEX_LANES)], axis=1)
         chunks = np.ascontiguousarray(lanes).view(np.uint16).reshape(len(lanes), -1, CHUNK).astype(np.uint64)
         keys = []
         for left_out in range(CHUNK):
@@ -86,19 +96,35 @@ def _index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(flat.reshape(-1).astype(np.int64)), pa.array(node)], names=["key", "node"])
 
 
-def _same_symbols(a: str, b: str) -> Column:
-    """Symbols on which two signatures agree: 16-bit lanes of the xor that are all zero."""
-    agree = []
-    for i in range(LANES):
-        x = F.col(f"{a}{i}").bitwiseXOR(F.col(f"{b}{i}"))
-        for by in (8, 4, 2, 1):
-            x = x.bitwiseOR(F.shiftrightunsigned(x, by))
-        agree.append(F.lit(4) - F.bit_count(x.bitwiseAND(F.lit(0x0001000100010001))))
-    return reduce(lambda p, q: p + q, agree)
+def _bits_apart(a: str, b: str) -> Column:
+    """Check bits in which two signatures differ."""
+    return reduce(lambda p, q: p + q, (F.bit_count(F.col(f"{a}{i}").bitwiseXOR(F.col(f"{b}{i}"))) for i in range(CHECK_LANES)))
 
 
-def _lanes(classes: DataFrame, node: str, prefix: str) -> DataFrame:
-    return classes.select(F.col("node").alias(node), *(F.col(f"s{i}").alias(f"{prefix}{i}") for i in range(LANES)))
+def _checks(classes: DataFrame, node: str, prefix: str) -> DataFrame:
+    return classes.select(F.col("node").alias(node), F.col("n_shingles").alias(f"{prefix}n"), *(F.col(f"c{i}").alias(f"{prefix}{i}") for i in range(CHECK_LANES)))
+
+
+def _may_link(a: str, b: str) -> Column:
+    """Set sizes that allow a similarity of 0.75, and few check bits apart."""
+    sizes = 100 * F.least(f"{a}n", f"{b}n") >= 75 * F.greatest(f"{a}n", f"{b}n")
+    return sizes & (_bits_apart(a, b) <= CHECK_BITS)
+
+
+def _first_key(key: str, a: str, b: str) -> Column:
+    """True if ``key`` is the first of the keys that two signatures (arrays of chunks) share.
+
+    A chunk yields a common key if at most one of its four symbols differs; if none does, it yields
+    four, of which the first counts.
+    """
+
+    def one_symbol(x: Column, y: Column) -> Column:
+        d = x.bitwiseXOR(y)
+        return reduce(lambda p, q: p | q, (d.bitwiseAND(F.lit(m)) == d for m in (0xFFFF, 0xFFFF0000, 0xFFFF00000000, -0x1000000000000)))
+
+    slot = F.shiftrightunsigned(key, 48)
+    chunk, left_out = F.floor(slot / CHUNK).cast("int"), slot % CHUNK
+    return (F.array_position(F.zip_with(a, b, one_symbol), True) == chunk + 1) & ((left_out == 0) | (F.get(a, chunk) != F.get(b, chunk)))
 
 
 def _to_set(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -125,7 +151,7 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def confirm_links(docs: DataFrame, pairs: DataFrame) -> DataFrame:
     """The pairs ``(u, v)`` of document ids whose full sets have 100 * intersection >= 75 * union."""
-    ids = pairs.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct()
+    ids = pairs.select(F.col("u").alias("doc_id")).union(pairs.select("v")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text"))
     sets = materialize(texts.join(small_side(ids), "doc_id", "left_semi").mapInArrow(_to_set, "node long, shingles binary"), "sets")
     left, right = (sets.select(F.col("node").alias(x), F.col("shingles").alias(f"s{x}")) for x in "uv")
@@ -134,6 +160,26 @@ def confirm_links(docs: DataFrame, pairs: DataFrame) -> DataFrame:
     return links
 
 
+def _placed(shared: DataFrame, found: DataFrame | None) -> DataFrame:
+    """``key, node, component`` of the bucket members; a node without links is its own component."""
+    if found is None:
+        return shared.select("key", "node", F.col("node").alias("component"))
+    return shared.join(found, "node", "left").select("key", "node", F.coalesce("component", "node").alias("component"))
+
+
+def _grown(docs: DataFrame, pairs: DataFrame, links: DataFrame | None, found: DataFrame | None, tried: DataFrame | None) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Links, components and tried pairs (both ways) after one more table of candidate pairs."""
+    both = pairs.union(pairs.select(F.col("v").alias("u"), F.col("u").alias("v")))
+    tried = both if tried is None else tried.union(both)
+    new = confirm_links(docs, pairs)
+    if found is not None and not new.head(1):
+        return links, found, tried
+    links = materialize(new if links is None else links.union(new), "links")
+    components = materialize(connected_components(links), "found")
+    discard(new, *([found] if found is not None else []))
+    return links, components, tried
+
+
 def near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """``doc_id, n_shingles, component_id, kept`` for every row of ``docs(doc_id, text, ...)``.
 
@@ -144,35 +190,37 @@ def near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
     base = materialize(signatures(docs), "signed")
     usable = base.filter((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull())
     # Copies collapse to their smallest id; equal words have equal signatures, so any of them serves.
-    classes = materialize(usable.groupBy("d1", "d2").agg(F.min("doc_id").alias("node"), *(F.min(f"s{i}").alias(f"s{i}") for i in range(LANES))), "classes")
-    keys = classes.select("node", *(f"s{i}" for i in range(LANES))).mapInArrow(_index, "key long, node long").repartition("key")
-    met = keys.groupBy("key").agg(F.min("node").alias("pivot"), F.max("node").alias("top")).filter("pivot < top").select("key", "pivot")
-    shared = materialize(keys.join(met, "key"), "shared")
-
-    stars = shared.filter("node > pivot").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
-    enough = F.lit(SYMBOLS - DISTANCE)
-    scored = stars.join(_lanes(classes, "u", "p"), "u").join(_lanes(classes, "v", "q"), "v").filter(_same_symbols("p", "q") >= enough)
-    near = materialize(scored.groupBy("u").agg(F.min("v").alias("v")), "near")
-    links = confirm_links(docs, near)
-    first = materialize(connected_components(links), "first")
-
-    # What is left: bucket mates that the stars did not bring into one component.
-    of = F.coalesce("component", "node")
-    placed = shared.join(first, "node", "left").select("key", "node", of.alias("component"))
+    classes = materialize(usable.groupBy("d1", "d2").agg(F.min("doc_id").alias("node"), *(F.min(x).alias(x) for x in ["n_shingles", *LANES])), "classes")
+    keys = classes.select("node", *LANES[:INDEX_LANES]).mapInArrow(_index, "key long, node long").repartition("key")
+    met = keys.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).filter("lo < hi").select("key")
+    shared = materialize(keys.join(met, "key", "left_semi"), "shared")
+    links, found, tried = None, None, None
+    for turn in range(ROUNDS):
+        placed = _placed(shared, found)
+        order = F.xxhash64("node", "key", F.lit(turn))  # a pivot of its own for every bucket
+        pivots = placed.groupBy("key").agg(F.min_by("node", order).alias("pivot"), F.min_by("component", order).alias("home"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("key", "pivot", "home")
+        stars = placed.join(pivots, "key").filter("component != home").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
+        scored = stars.join(_checks(classes, "u", "p"), "u").join(_checks(classes, "v", "q"), "v").filter(_may_link("p", "q")).select("u", "v", _bits_apart("p", "q").alias("apart"))
+        # A node meets at most one pivot for each of its keys, so its list is bounded.
+        nearest = scored.groupBy("u").agg(F.slice(F.array_sort(F.collect_list(F.struct("apart", "v"))), 1, TRIES).alias("best"))
+        near = materialize(nearest.select("u", F.explode("best.v").alias("v")), "near")
+        links, found, tried = _grown(docs, near, links, found, tried)
+
+    # What is left: bucket mates that no pivot brought into one component.
+    placed = _placed(shared, found)
     split = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("key")
-    mixed = materialize(placed.join(split, "key", "left_semi"), "mixed")
-    carried = mixed.join(_lanes(classes, "node", "s"), "node")
-    one, two = (carried.select("key", F.col("node").alias(x), F.col("component").alias(f"c{x}"), *(F.col(f"s{i}").alias(f"{y}{i}") for i in range(LANES))) for x, y in (("u", "p"), ("v", "q")))
-    rest = one.join(two, (one["key"] == two["key"]) & (F.col("cu") > F.col("cv")) & (_same_symbols("p", "q") >= enough)).select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
-    rest = materialize(rest.join(near, ["u", "v"], "left_anti"), "rest")
-    more = confirm_links(docs, rest)
-    found = first if not more.head(1) else materialize(connected_components(links.union(more)), "found")
+    chunks = classes.select("node", F.array(*LANES[:INDEX_LANES]).alias("chunks"))
+    carried = materialize(placed.join(split, "key", "left_semi"), "mixed").join(_checks(classes, "node", "c"), "node").join(chunks, "node")
+    one, two = (carried.select("key", F.col("node").alias(x), F.col("component").alias(f"of_{x}"), F.col("chunks").alias(f"{x}_chunks"), F.col("cn").alias(f"{y}n"), *(F.col(f"c{i}").alias(f"{y}{i}") for i in range(CHECK_LANES))) for x, y in (("u", "p"), ("v", "q")))
+    rest = one.join(two, (one["key"] == two["key"]) & (F.col("of_u") > F.col("of_v")) & _may_link("p", "q") & _first_key(one["key"], "u_chunks", "v_chunks")).select("u", "v").distinct()
+    rest = materialize(rest.join(tried, ["u", "v"], "left_anti"), "rest")
+    links, found, tried = _grown(docs, rest, links, found, tried)
 
     # A class's component, named by its smallest member.
-    placed = classes.select("d1", "d2", "node").join(found, "node", "left").select("d1", "d2", of.alias("component"))
+    placed = classes.select("d1", "d2", "node").join(found, "node", "left").select("d1", "d2", F.coalesce("component", "node").alias("component"))
     out = base.select("doc_id", "n_shingles", "d1", "d2").join(placed, ["d1", "d2"], "left").select("doc_id", "n_shingles", F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("component")).otherwise(F.col("doc_id")).alias("component_id"))
     result = materialize(out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id"))), "near_dup")
-    discard(base, classes, shared, near, first, mixed, rest, links, more)
+    discard(base, classes, shared, links, found)
     return result
 
 
@@ -182,5 +230,12 @@ def op9_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group stays: the one with the smallest id (one row, if it is repeated)."""
-    found = near_duplicates(spark, docs).filter("kept").select("doc_id").distinct()
-    return docs.join(found, docs["doc_id"].eqNullSafe(found["doc_id"]), "left_semi").dropDuplicates(["doc_id", "text"])
+    found = near_duplicates(spark, docs)
+    gone = small_side(found.filter(~F.col("kept")).select("doc_id").distinct())
+    repeated = materialize(found.filter(F.col("doc_id").isNotNull()).groupBy("doc_id").count().filter("count > 1").select("doc_id"), "repeated")
+    left = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    if not repeated.head(1):
+        return left
+    # Rows that repeat an id and a text are reduced to one; only those are shuffled.
+    again = small_side(repeated)
+    return left.join(again, "doc_id", "left_anti").select(*docs.columns).union(left.join(again, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id", "text"]))
