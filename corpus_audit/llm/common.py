@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+import pickle
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+
+import pyarrow as pa
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -59,3 +63,22 @@ def held_out(doc_id: str = "doc_id") -> Column:
 def small_side(df: DataFrame) -> DataFrame:
     """Hint a broadcast if a count proves the (narrow) table small; else leave the choice to Spark."""
     return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+
+
+def fit_in_task(sample: DataFrame, text: str, label: str, order: list[str], fit: Callable[[list[str], list], object]) -> object:
+    """Run ``fit(texts, labels)`` over a bounded sample in one task and return the model.
+
+    The sample's bound is the caller's documented parameter; rows come in a fixed order, so equal
+    samples give equal models, and a lost task is simply run again.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        texts, labels = [], []
+        for batch in batches:
+            texts += batch.column(text).to_pylist()
+            labels += batch.column(label).to_pylist()
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(fit(texts, labels))], type=pa.binary())], names=["model"])
+
+    one = sample.select(text, label, *[c for c in order if c not in (text, label)]).repartition(1).sortWithinPartitions(*order)
+    found = one.mapInArrow(run, "model binary").first()
+    return pickle.loads(found["model"])

@@ -87,6 +87,20 @@ class Words:
         self.hash = mix((sums[self.end] - sums[self.start]) * powers(_BASE_INVERSE, n + 1)[self.start])
 
 
+    @classmethod
+    def whole(cls, data: np.ndarray, off: np.ndarray, folded: bool) -> Words:
+        """The same for many rows: worked out slice by slice, so only the words' own arrays grow with the input."""
+        cuts = list(slices(off))
+        parts = [cls(data[off[i] : off[j]], off[i : j + 1] - off[i], folded) for i, j in cuts]
+        out = cls.__new__(cls)
+        join = lambda arrays, kind: np.concatenate([*arrays, np.zeros(0, dtype=kind)])
+        out.start, out.end = (join([getattr(p, x) + off[i] for p, (i, _) in zip(parts, cuts, strict=True)], np.int64) for x in ("start", "end"))
+        out.hash = join([p.hash for p in parts], np.uint64)
+        counts = join([np.diff(p.first) for p in parts], np.int64)
+        out.first = np.concatenate([[0], np.cumsum(counts)])
+        return out
+
+
 def sequence_digest(hashes: np.ndarray) -> tuple[int, int]:
     """128 bits of a sequence of word hashes, as two signed 64-bit numbers."""
     n = len(hashes)

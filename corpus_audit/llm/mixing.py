@@ -22,11 +22,11 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from corpus_audit.llm import kernels as K
-from corpus_audit.llm.common import held_out, materialize, small_side, whole_text
+from corpus_audit.llm.common import fit_in_task, held_out, materialize, small_side, whole_text
 
 BUCKETS = 1 << 16
 #: Learning rows per domain at most (those whose ids hash lowest), and the longest text among them.
-MAX_LEARN, MAX_LEARN_CHARS = 1500, 60_000
+MAX_LEARN, MAX_LEARN_CHARS = 1000, 60_000
 #: Share of tokens that each domain shall have; domains not named share what is left by their present size.
 TARGETS = {"q1t0": 0.90}
 REGULAR, STEP, ROUNDS, TOLERANCE = 0.02, 0.9, 40, 1e-4
@@ -59,7 +59,7 @@ def _softmax(x: np.ndarray) -> np.ndarray:
 def fit(texts: list[str], domains: list[str], shares: dict[str, float], epochs: int = 12, rate: float = 0.5, batch: int = 64, seed: int = 7) -> Classifier:
     """Fit on texts and their domains; the bias is moved to the given prior shares, as the sample is balanced."""
     names = sorted(shares)
-    words = K.Words(*K.text_buffer(pa.array(texts, type=pa.string())), folded=True)
+    words = K.Words.whole(*K.text_buffer(pa.array(texts, type=pa.string())), folded=True)
     rows, counts = Classifier.rows(words.hash), np.diff(words.first)
     label = np.asarray([names.index(d) for d in domains])
     weights, bias = np.zeros((BUCKETS, len(names)), dtype=np.float32), np.zeros(len(names))
@@ -98,11 +98,12 @@ def learn(docs: DataFrame, labels: DataFrame, limit: int = MAX_LEARN) -> Classif
     order = W.partitionBy("domain").orderBy(F.xxhash64("doc_id"), "doc_id")
     shares = dict(known.groupBy("domain").count().collect())  # one row per domain
     chosen = known.withColumn("__n", F.row_number().over(order)).filter(F.col("__n") <= limit).select("doc_id", "domain")
-    rows = docs.select("doc_id", "text").filter(F.length("text") <= MAX_LEARN_CHARS).join(small_side(chosen), "doc_id").select("doc_id", "text", "domain").toPandas().sort_values(["doc_id", "text"], kind="stable")
-    if rows.empty:
+    rows = docs.select("doc_id", "text").filter(F.length("text") <= MAX_LEARN_CHARS).join(small_side(chosen), "doc_id")
+    if not shares:
         return Classifier(["all"], np.zeros((BUCKETS, 1), dtype=np.float32), np.zeros(1))
     total = sum(shares.values())
-    return fit(rows["text"].tolist(), rows["domain"].tolist(), {d: n / total for d, n in shares.items()})
+    share_of = {d: n / total for d, n in shares.items()}
+    return fit_in_task(rows, "text", "domain", ["doc_id", "text"], lambda texts, domains: fit(texts, domains, share_of))
 
 
 def memberships(docs: DataFrame, model: Classifier) -> DataFrame:

@@ -18,12 +18,12 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from corpus_audit.llm import kernels as K
-from corpus_audit.llm.common import held_out, small_side, whole_text
+from corpus_audit.llm.common import fit_in_task, held_out, small_side, whole_text
 
 WINDOW, STRIDE = 24, 12
 WORD_ROWS, CHAR_ROWS, WORD_DIM, CHAR_DIM, HIDDEN = 1 << 15, 1 << 14, 8, 12, 8
 #: Learning rows per label at most (those whose ids hash lowest), and the longest text among them.
-MAX_LEARN, MAX_LEARN_CHARS = 2500, 60_000
+MAX_LEARN, MAX_LEARN_CHARS = 2000, 60_000
 THRESHOLD = 0.7
 BLOCK = 2048
 
@@ -32,7 +32,7 @@ class Inputs:
     """Distinct words of some texts, their feature numbers, and the windows over the texts."""
 
     def __init__(self, data: np.ndarray, off: np.ndarray):
-        words = K.Words(data, off, folded=True)
+        words = K.Words.whole(data, off, folded=True)
         _, at, self.word_id = np.unique(words.hash, return_index=True, return_inverse=True)
         self.word_row = (words.hash[at] >> np.uint64(20)).astype(np.int64) % WORD_ROWS
         self.grams, self.gram_start = char_grams(data, words.start[at], words.end[at])
@@ -55,14 +55,13 @@ class Inputs:
 
 def char_grams(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Hashed byte n-grams of each word: all of 4 and 5 bytes, and its first 3, 4 and 5 bytes; A-Z folded."""
-    values = K.FOLDED_VALUES[data]
     size = end - start
     owners, codes = [], []
 
     def gram(at: np.ndarray, n: int, salt: int) -> np.ndarray:
         total = np.zeros(len(at), dtype=np.uint64)
         for k in range(n):
-            total = total * np.uint64(0x9E3779B97F4A7C15) + values[at + k]
+            total = total * np.uint64(0x9E3779B97F4A7C15) + K.FOLDED_VALUES[data[at + k]]
         return (K.mix(total + np.uint64(salt)) % np.uint64(CHAR_ROWS)).astype(np.int64)
 
     for n in (4, 5):
@@ -81,8 +80,14 @@ def char_grams(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np
 
 
 def _means(table: np.ndarray, grams: np.ndarray, start: np.ndarray) -> np.ndarray:
-    sums = np.concatenate([np.zeros((1, table.shape[1])), np.cumsum(table[grams], axis=0, dtype=np.float64)])
-    return ((sums[start[1:]] - sums[start[:-1]]) / np.maximum(1, np.diff(start))[:, None]).astype(np.float32)
+    """Mean row of the table over each word's n-grams, some words at a time."""
+    out = np.zeros((len(start) - 1, table.shape[1]), dtype=np.float32)
+    for i in range(0, len(out), 8192):
+        cut = start[i : i + 8193]
+        sums = np.zeros((cut[-1] - cut[0] + 1, table.shape[1]))
+        np.cumsum(table[grams[cut[0] : cut[-1]]], axis=0, out=sums[1:])
+        out[i : i + 8192] = (sums[cut[1:] - cut[0]] - sums[cut[:-1] - cut[0]]) / np.maximum(1, np.diff(cut))[:, None]
+    return out
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
@@ -193,21 +198,23 @@ class Network:
         return g, {"word": (inputs.word_row[real], d_vectors[:, :WORD_DIM]), "char": (grams, d_gram)}
 
 
-def _first_choice(inputs: Inputs, toxic: np.ndarray) -> np.ndarray:
+def _first_choice(inputs: Inputs, toxic: np.ndarray, block: int = 200) -> np.ndarray:
     """A window weight from feature log odds over texts: the highest of any feature in the window."""
     weights = []
     n_words = len(inputs.word_row)
-    text_of = np.searchsorted(inputs.first, np.arange(len(inputs.word_id)), side="right") - 1
-    seen = np.unique(text_of * np.int64(n_words) + inputs.word_id) if n_words else np.zeros(0, dtype=np.int64)
-    seen_text, seen_word = np.divmod(seen, max(1, n_words))
+    n_pos, n_neg = max(1, int(toxic.sum())), max(1, int((1 - toxic).sum()))
     for rows, start, size in ((inputs.word_row, np.arange(n_words + 1), WORD_ROWS), (inputs.grams, inputs.gram_start, CHAR_ROWS)):
-        count = np.diff(start)[seen_word]
-        flat = rows[np.repeat(start[seen_word] - (np.cumsum(count) - count), count) + np.arange(count.sum())]
-        pairs = np.unique(np.repeat(seen_text, count) * np.int64(size) + flat)
-        text, row = np.divmod(pairs, size)
-        pos, neg = (np.bincount(row[toxic[text] == k], minlength=size) for k in (1, 0))
-        n_pos, n_neg = max(1, int(toxic.sum())), max(1, int((1 - toxic).sum()))
-        odds = np.log((pos + 0.5) / (n_pos + 1)) - np.log((neg + 0.5) / (n_neg + 1))
+        seen_in = np.zeros((2, size))
+        for i in range(0, len(toxic), block):
+            first = inputs.first[i : i + block + 1]
+            text_of = np.repeat(np.arange(len(first) - 1), np.diff(first))
+            text, word = np.divmod(np.unique(text_of * np.int64(n_words) + inputs.word_id[first[0] : first[-1]]), max(1, n_words))
+            count = np.diff(start)[word]
+            flat = rows[np.repeat(start[word] - (np.cumsum(count) - count), count) + np.arange(count.sum())]
+            text, row = np.divmod(np.unique(np.repeat(text, count) * np.int64(size) + flat), size)
+            for k in (0, 1):
+                seen_in[k] += np.bincount(row[toxic[i + text] == k], minlength=size)
+        odds = np.log((seen_in[1] + 0.5) / (n_pos + 1)) - np.log((seen_in[0] + 0.5) / (n_neg + 1))
         best = np.full(n_words + 1, -np.inf)
         filled = np.diff(start) > 0
         if filled.any():
@@ -226,7 +233,7 @@ def _top(scores: np.ndarray, inputs: Inputs, texts: np.ndarray, k: int) -> np.nd
     return np.concatenate(out) if out else np.zeros(0, dtype=np.int64)
 
 
-def train(texts: list[str], labels: list[int], rounds: int = 3, batch: int = 192, steps: int = 330, seed: int = 5) -> Network:
+def train(texts: list[str], labels: list[int], rounds: int = 4, batch: int = 192, steps: int = 440, seed: int = 5) -> Network:
     """Fit on whole texts with labels 0 and 1. Without both labels the network scores by its start alone."""
     net, rng = Network(), np.random.default_rng(seed)
     column = pa.array(texts, type=pa.string())
@@ -244,7 +251,7 @@ def train(texts: list[str], labels: list[int], rounds: int = 3, batch: int = 192
     step = 0
     for _ in range(rounds):
         chosen = _top(scores, inputs, pos, 1)
-        hard = _top(scores, inputs, neg, 1)
+        hard = _top(scores, inputs, neg, 2)
         for _ in range(-(-steps // rounds)):
             k = batch // 2
             pick = np.concatenate([rng.choice(chosen, k), rng.choice(hard, k // 2), rng.choice(all_neg, k - k // 2)])
@@ -284,8 +291,8 @@ def learn(docs: DataFrame, labels: DataFrame, limit: int = MAX_LEARN) -> Network
     known = labels.filter(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     order = W.partitionBy("toxic").orderBy(F.xxhash64("doc_id"), "doc_id")
     chosen = known.withColumn("__n", F.row_number().over(order)).filter(F.col("__n") <= limit).select("doc_id", "toxic")
-    rows = docs.select("doc_id", "text").filter(F.length("text") <= MAX_LEARN_CHARS).join(small_side(chosen), "doc_id").select("doc_id", "text", "toxic").toPandas().sort_values(["doc_id", "text"], kind="stable")
-    return train(rows["text"].tolist(), rows["toxic"].tolist())
+    rows = docs.select("doc_id", "text").filter(F.length("text") <= MAX_LEARN_CHARS).join(small_side(chosen), "doc_id")
+    return fit_in_task(rows, "text", "toxic", ["doc_id", "text"], train)
 
 
 def score(docs: DataFrame, net: Network, key: str = "doc_id") -> DataFrame:
