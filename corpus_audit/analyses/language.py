@@ -31,10 +31,10 @@ def _char_grams(df: DataFrame, keep: list[str], n: int) -> DataFrame:
 def detect(df: DataFrame, trained: DataFrame, unseen: float = -12.0, margin: float = 0.0, n: int = 3) -> DataFrame:
     """doc_id, lang: the profile with the highest mean weight over the text's n-grams; UN if two are within ``margin``.
 
-    Grams are counted per document before they meet the profiles.
+    Grams meet the bounded profiles where they arise, and a document's sums are combined before the shuffle.
     """
-    counted = _char_grams(df, ["doc_id"], n).groupBy("doc_id", "gram").agg(F.count("*").alias("c"))
-    scored = counted.join(F.broadcast(trained), "gram").groupBy("doc_id", "lang").agg(F.sum((F.col("weight") - unseen) * F.col("c")).alias("s"))
+    met = _char_grams(df, ["doc_id"], n).join(F.broadcast(trained), "gram")
+    scored = met.groupBy("doc_id", "lang").agg(F.sum(F.col("weight") - unseen).alias("s"))
     ranked = scored.withColumn("r", F.row_number().over(W.partitionBy("doc_id").orderBy(F.desc("s"), "lang"))).withColumn("gap", F.col("s") - F.lead("s").over(W.partitionBy("doc_id").orderBy(F.desc("s"), "lang")))
     best = ranked.filter("r = 1").select("doc_id", F.when(F.coalesce("gap", F.lit(1e9)) > margin, F.col("lang")).alias("found"))
     return df.select("doc_id").join(best, "doc_id", "left").select("doc_id", F.coalesce("found", F.lit("UN")).alias("lang"))

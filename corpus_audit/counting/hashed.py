@@ -40,9 +40,9 @@ class HashSpec:
         return F.pmod(F.conv(F.substring(F.md5(seeded.cast("binary")), 1, digits), 16, 10).cast("long"), F.lit(self.m))
 
 
-def cell_counts(df: DataFrame, key: str, spec: HashSpec, by: list[str] | None = None) -> DataFrame:
-    """``by`` columns, cell, cnt, saturated. At most min(m, keys) rows leave each task."""
-    counted = df.groupBy(*(by or []), spec.cell(key).alias("cell")).agg(F.count("*").alias("cnt"))
+def cell_counts(df: DataFrame, key: str | Column, spec: HashSpec, by: list[str] | None = None) -> DataFrame:
+    """``by`` columns, cell, cnt, saturated; ``key`` is a column's name or the cell itself. At most min(m, keys) rows leave each task."""
+    counted = df.groupBy(*(by or []), (spec.cell(key) if isinstance(key, str) else key).alias("cell")).agg(F.count("*").alias("cnt"))
     if spec.counter == "u32":
         return counted.select(*(by or []), "cell", F.least("cnt", F.lit(U32_MAX)).alias("cnt"), (F.col("cnt") >= U32_MAX).alias("saturated"))
     return counted.withColumn("saturated", F.lit(False))

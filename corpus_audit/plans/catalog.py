@@ -18,7 +18,7 @@ from corpus_audit.counting.hashed import HashSpec, cell_counts, occupancy
 from corpus_audit.functions import lexicons
 from corpus_audit.operators import sketches
 from corpus_audit.search import index, query
-from corpus_audit.sources.io import documents, pages, table
+from corpus_audit.sources.io import documents, pages, spread, table
 from corpus_audit.text.html import visible_text_sql
 from corpus_audit.text.ngrams import grams, grams_sql
 from corpus_audit.text.tokenize import n_tokens, tokens_sql
@@ -44,9 +44,14 @@ def _local(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
     return F.broadcast(spark.createDataFrame(rows, schema))
 
 
+def texts(spark: SparkSession, sf: str) -> DataFrame:
+    """Documents for analyses that do much work per text: a few splits are dealt over all cores."""
+    return spread(documents(spark, sf))
+
+
 def _by_lang(spark: SparkSession, sf: str) -> DataFrame:
     """Documents with the language as corpus."""
-    return documents(spark, sf).withColumn("corpus", F.col("lang"))
+    return texts(spark, sf).withColumn("corpus", F.col("lang"))
 
 
 def _values(rows: list[tuple], *names: str) -> str:
@@ -102,7 +107,7 @@ def token_counts_whitespace(spark, sf):
 
 @register("ngrams_n", f"SELECT doc_id, greatest(0, n_tokens - 1) AS n_grams FROM {DOCS}")
 def ngrams_n(spark, sf):
-    docs = documents(spark, sf)
+    docs = texts(spark, sf)
     counted = grams(docs, 2, keep=["doc_id"]).groupBy("doc_id").agg(F.count("*").alias("n"))
     return docs.select("doc_id").join(counted, "doc_id", "left").select("doc_id", F.coalesce("n", F.lit(0)).alias("n_grams"))
 
@@ -114,12 +119,12 @@ def _top_sql(n: int, order: str = "DESC", k: int = K) -> str:
 for _name, _n in (("top_unigrams", 1), ("top_bigrams", 2), ("top_trigrams", 3), ("top_5grams", 5), ("top_10grams", 10), ("top_100grams", 100)):
     @register(_name, _top_sql(_n))
     def _top(spark, sf, n=_n):
-        return ngrams.top_exact(documents(spark, sf), n, K)
+        return ngrams.top_exact(texts(spark, sf), n, K)
 
 
 @register("bottom_ngrams_exact", _top_sql(1, "ASC"))
 def bottom_ngrams_exact(spark, sf):
-    return ngrams.bottom_exact(documents(spark, sf), 1, K)
+    return ngrams.bottom_exact(texts(spark, sf), 1, K)
 
 
 BY_CORPUS_SQL = f"SELECT corpus, gram, count(*) AS cnt FROM {grams_sql(1)} GROUP BY corpus, gram"
@@ -127,7 +132,7 @@ BY_CORPUS_SQL = f"SELECT corpus, gram, count(*) AS cnt FROM {grams_sql(1)} GROUP
 
 @register("top_ngrams_by_corpus", f"SELECT corpus, gram, cnt, CAST(row_number() OVER (PARTITION BY corpus ORDER BY cnt DESC, gram) AS INTEGER) AS rnk FROM ({BY_CORPUS_SQL}) QUALIFY rnk <= 5")
 def top_ngrams_by_corpus(spark, sf):
-    return ngrams.top_by_corpus(documents(spark, sf), 1, 5)
+    return ngrams.top_by_corpus(texts(spark, sf), 1, 5)
 
 
 CELLS_SQL = f"SELECT {CELL} AS cell, count(*) AS cnt FROM {grams_sql(1)} GROUP BY ALL"
@@ -135,12 +140,12 @@ CELLS_SQL = f"SELECT {CELL} AS cell, count(*) AS cnt FROM {grams_sql(1)} GROUP B
 
 @register("hashed_cells", f"SELECT cell, cnt, false AS saturated FROM ({CELLS_SQL})")
 def hashed_cells(spark, sf):
-    return cell_counts(grams(documents(spark, sf), 1), "gram", SPEC)
+    return cell_counts(grams(texts(spark, sf), 1), "gram", SPEC)
 
 
 @register("hashed_cells_u32", f"SELECT cell, least(cnt, 4294967295) AS cnt, cnt >= 4294967295 AS saturated FROM ({CELLS_SQL})")
 def hashed_cells_u32(spark, sf):
-    return cell_counts(grams(documents(spark, sf), 1), "gram", HashSpec(SPEC.m, fn=SPEC.fn, counter="u32"))
+    return cell_counts(grams(texts(spark, sf), 1), "gram", HashSpec(SPEC.m, fn=SPEC.fn, counter="u32"))
 
 
 def _hashed_sql(order: str, n: int = 1) -> str:
@@ -150,17 +155,25 @@ def _hashed_sql(order: str, n: int = 1) -> str:
 
 @register("top_ngrams_hashed", _hashed_sql("DESC", 2))
 def top_ngrams_hashed(spark, sf):
-    return ngrams.top_hashed(documents(spark, sf), 2, K, SPEC)
+    return ngrams.top_hashed(texts(spark, sf), 2, K, SPEC)
+
+
+#: Production cells: the fast hash, and so many cells that these tables have no collision.
+WIDE = HashSpec(2**48)
+for _name, _n in (("top_100grams_wide", 100), ("top_10grams_wide", 10), ("top_5grams_wide", 5), ("top_bigrams_wide", 2), ("top_trigrams_wide", 3), ("top_unigrams_wide", 1)):
+    @register(_name, f"SELECT gram, cnt AS est_cnt FROM ({_top_sql(_n)})")
+    def _wide(spark, sf, n=_n):
+        return ngrams.top_hashed(texts(spark, sf), n, K, WIDE)
 
 
 @register("bottom_ngrams_hashed", _hashed_sql("ASC"))
 def bottom_ngrams_hashed(spark, sf):
-    return ngrams.bottom_hashed(documents(spark, sf), 1, K, SPEC)
+    return ngrams.bottom_hashed(texts(spark, sf), 1, K, SPEC)
 
 
 @register("top_ngrams_certified", f"WITH c AS ({CELLS_SQL}) SELECT gram, t.cnt, c.cnt AS est_cnt FROM ({_top_sql(1)}) t JOIN c ON {CELL} = cell")
 def top_ngrams_certified(spark, sf):
-    return ngrams.top_certified(documents(spark, sf), 1, K, SPEC).filter("certified").select("gram", "cnt", "est_cnt")
+    return ngrams.top_certified(texts(spark, sf), 1, K, SPEC).filter("certified").select("gram", "cnt", "est_cnt")
 
 
 SET_SQL = f"SELECT corpus, count(DISTINCT {CELL}) AS set_cells, CAST({SPEC.m} AS BIGINT) AS table_cells FROM {grams_sql(1)} GROUP BY corpus"
@@ -168,22 +181,22 @@ SET_SQL = f"SELECT corpus, count(DISTINCT {CELL}) AS set_cells, CAST({SPEC.m} AS
 
 @register("distinct_ngrams_bitmap", f"SELECT *, round(set_cells / table_cells, 6) AS occupancy FROM ({SET_SQL})")
 def distinct_ngrams_bitmap(spark, sf):
-    return occupancy(grams(documents(spark, sf), 1, keep=["corpus"]), "gram", SPEC, ["corpus"]).drop("linear_est", "nearly_full")
+    return occupancy(grams(texts(spark, sf), 1, keep=["corpus"]), "gram", SPEC, ["corpus"]).drop("linear_est", "nearly_full")
 
 
 @register("distinct_ngrams_linear", f"SELECT corpus, CAST(round(-{float(SPEC.m)} * ln(1 - set_cells / table_cells), 0) AS BIGINT) AS linear_est, set_cells / table_cells > 0.9 AS nearly_full FROM ({SET_SQL})")
 def distinct_ngrams_linear(spark, sf):
-    return occupancy(grams(documents(spark, sf), 1, keep=["corpus"]), "gram", SPEC, ["corpus"]).select("corpus", "linear_est", "nearly_full")
+    return occupancy(grams(texts(spark, sf), 1, keep=["corpus"]), "gram", SPEC, ["corpus"]).select("corpus", "linear_est", "nearly_full")
 
 
 @register("distinct_ngrams_exact", f"SELECT corpus, count(DISTINCT gram) AS n_distinct, round(count(DISTINCT gram) / count(*), 6) AS share_of_tokens FROM {grams_sql(1)} GROUP BY corpus")
 def distinct_ngrams_exact(spark, sf):
-    return ngrams.distinct_exact(documents(spark, sf), 1)
+    return ngrams.distinct_exact(texts(spark, sf), 1)
 
 
 @register("singleton_ngrams", f"SELECT gram FROM (SELECT gram FROM {grams_sql(1)} GROUP BY gram HAVING count(*) = 1) ORDER BY md5('s' || gram), gram LIMIT 25")
 def singleton_ngrams(spark, sf):
-    return ngrams.singletons(documents(spark, sf))
+    return ngrams.singletons(texts(spark, sf))
 
 
 EST_SQL = f"SELECT gram, cnt, sum(cnt) OVER (PARTITION BY {CELL}) AS est FROM (SELECT gram, count(*) AS cnt FROM {grams_sql(1)} GROUP BY gram)"
@@ -191,17 +204,17 @@ EST_SQL = f"SELECT gram, cnt, sum(cnt) OVER (PARTITION BY {CELL}) AS est FROM (S
 
 @register("hash_error", f"SELECT count(*) AS n_grams, count(*) FILTER (est > cnt) AS n_inflated, CAST(max(est - cnt) AS BIGINT) AS max_inflation FROM ({EST_SQL})")
 def hash_error(spark, sf):
-    return accuracy.error_report(grams(documents(spark, sf), 1), "gram", SPEC)
+    return accuracy.error_report(grams(texts(spark, sf), 1), "gram", SPEC)
 
 
 @register("hash_bound_check", f"SELECT gram, cnt, CAST(est AS BIGINT) AS est FROM ({EST_SQL}) WHERE est < cnt")
 def hash_bound_check(spark, sf):
-    return accuracy.bound_check(grams(documents(spark, sf), 1), "gram", SPEC).select("gram", "cnt", "est")
+    return accuracy.bound_check(grams(texts(spark, sf), 1), "gram", SPEC).select("gram", "cnt", "est")
 
 
 @register("hash_collisions", f"SELECT CAST({SPEC.m} AS BIGINT) AS table_cells, count(*) AS set_cells, count(*) FILTER (n > 1) AS colliding_cells, CAST(sum(n) AS BIGINT) AS n_keys, round(sum(n) / {SPEC.m}, 6) AS load FROM (SELECT {CELL} AS cell, count(DISTINCT gram) AS n FROM {grams_sql(1)} GROUP BY ALL)")
 def hash_collisions(spark, sf):
-    return accuracy.collision_report(grams(documents(spark, sf), 1), "gram", SPEC)
+    return accuracy.collision_report(grams(texts(spark, sf), 1), "gram", SPEC)
 
 
 def _quality_sql(order: str) -> str:
@@ -210,30 +223,30 @@ def _quality_sql(order: str) -> str:
 
 @register("topk_quality", _quality_sql("DESC"))
 def topk_quality(spark, sf):
-    docs = documents(spark, sf)
+    docs = texts(spark, sf)
     return accuracy.answer_quality(ngrams.top_hashed(docs, 1, K, SPEC), ngrams.top_exact(docs, 1, K))
 
 
 @register("bottomk_quality", _quality_sql("ASC"))
 def bottomk_quality(spark, sf):
-    docs = documents(spark, sf)
+    docs = texts(spark, sf)
     return accuracy.answer_quality(ngrams.bottom_hashed(docs, 1, K, SPEC), ngrams.bottom_exact(docs, 1, K))
 
 
 @register("context_sample", f"""WITH h AS (SELECT DISTINCT doc_id FROM {grams_sql(2)} WHERE gram = 'of the'), c AS (SELECT doc_id FROM h ORDER BY md5('c' || CAST(doc_id AS VARCHAR)), doc_id LIMIT 100)
 SELECT doc_id, substr(text, greatest(1, instr(text, 'of') - 40), 80) AS excerpt FROM documents JOIN c USING (doc_id)""")
 def context_sample(spark, sf):
-    return ngrams.context_sample(documents(spark, sf), "of the", 2)
+    return ngrams.context_sample(texts(spark, sf), "of the", 2)
 
 
 @register("sketch_distinct")
 def sketch_distinct(spark, sf):
-    return sketches.distinct(grams(documents(spark, sf), 1), "gram")
+    return sketches.distinct(grams(texts(spark, sf), 1), "gram")
 
 
 @register("sketch_top")
 def sketch_top(spark, sf):
-    return sketches.top(grams(documents(spark, sf), 1), "gram", K)
+    return sketches.top(grams(texts(spark, sf), 1), "gram", K)
 
 
 # --- domains, dates, places, languages --------------------------------------------------------
@@ -336,7 +349,7 @@ def language_share(spark, sf):
 
 @register("language_detected")
 def language_detected(spark, sf):
-    docs = documents(spark, sf)
+    docs = texts(spark, sf)
     return language.detect(docs, language.profiles(docs))
 
 
@@ -448,19 +461,19 @@ TERMS = ["the", "de", "and", "worthless", "best"]
 
 @register("term_doc_frequency", f"SELECT t.term, coalesce(df, 0) AS df, coalesce(tf, 0) AS tf FROM {_values([(t,) for t in TERMS], 'term')} t LEFT JOIN (SELECT gram, count(DISTINCT doc_id) AS df, count(*) AS tf FROM {grams_sql(1)} GROUP BY gram) g ON g.gram = t.term")
 def term_doc_frequency(spark, sf):
-    return query.frequency(index.build(documents(spark, sf)), [[t] for t in TERMS]).withColumnRenamed("phrase", "term")
+    return query.frequency(index.build(texts(spark, sf)), [[t] for t in TERMS]).withColumnRenamed("phrase", "term")
 
 
 @register("term_frequency", "SELECT term, df, tf FROM (" + ORACLES["term_doc_frequency"] + ") WHERE tf > 0")
 def term_frequency(spark, sf):
     """Corpus frequencies of the terms that a model is asked about: one pass for a list of terms, no index needed."""
     asked = _local(spark, [(t,) for t in TERMS], "term string")
-    return grams(documents(spark, sf), 1, keep=["doc_id"]).withColumnRenamed("gram", "term").join(asked, "term").groupBy("term", "doc_id").agg(F.count("*").alias("n")).groupBy("term").agg(F.count("*").alias("df"), F.sum("n").alias("tf"))
+    return grams(texts(spark, sf), 1, keep=["doc_id"]).withColumnRenamed("gram", "term").join(asked, "term").groupBy("term", "doc_id").agg(F.count("*").alias("n")).groupBy("term").agg(F.count("*").alias("df"), F.sum("n").alias("tf"))
 
 
 @register("ngram_count_by_search", f"SELECT 'of the' AS gram, count(DISTINCT doc_id) AS df, count(*) AS tf FROM {grams_sql(2)} WHERE gram = 'of the'")
 def ngram_count_by_search(spark, sf):
-    return query.ngram_counts(index.build(documents(spark, sf)), "of the")
+    return query.ngram_counts(index.build(texts(spark, sf)), "of the")
 
 
 _HAS = "SELECT doc_id FROM {0} WHERE gram = '{1}'"
@@ -470,12 +483,12 @@ EXPRESSION = query.And((query.Or((query.And((query.Term("the"), query.Phrase(("o
 
 @register("boolean_search", _BOOLEAN)
 def boolean_search(spark, sf):
-    return query.run(index.build(documents(spark, sf)), EXPRESSION)
+    return query.run(index.build(texts(spark, sf)), EXPRESSION)
 
 
 @register("retrieve_documents", f"SELECT doc_id, text FROM documents WHERE doc_id IN ({_BOOLEAN} ORDER BY doc_id LIMIT {K})")
-def retrieve_documents(spark, sf):
-    docs = documents(spark, sf)
+def retrieve_texts(spark, sf):
+    docs = texts(spark, sf)
     return query.fetch(query.run(index.build(docs), EXPRESSION), docs, K).select("doc_id", "text")
 
 
@@ -493,7 +506,7 @@ for _name, _method in (("contamination_items", "scan"), ("contamination_items_in
     @register(_name, f"SELECT i.item_id, CAST(len(fields) AS BIGINT) AS n_fields, count(DISTINCT doc_id) AS n_docs FROM {ITEMS} i LEFT JOIN {ALL_HITS} h ON i.item_id = h.item_id GROUP BY ALL")
     def _contaminated(spark, sf, method=_method):
         items = _items(spark, sf)
-        return contamination.per_item(contamination.evaluate(documents(spark, sf), items, method), items)
+        return contamination.per_item(contamination.evaluate(texts(spark, sf), items, method), items)
 
 
 def _rate_sql(hits: str, items: str = ITEMS) -> str:
@@ -502,19 +515,19 @@ def _rate_sql(hits: str, items: str = ITEMS) -> str:
 
 @register("contamination_rate", _rate_sql(ALL_HITS))
 def contamination_rate(spark, sf):
-    docs, items = documents(spark, sf), _items(spark, sf)
+    docs, items = texts(spark, sf), _items(spark, sf)
     return contamination.rate(contamination.evaluate(docs, items), docs, items)
 
 
 @register("contamination_rate_eligible", _rate_sql(f"(SELECT doc_id, item_id FROM {HITS} WHERE n = n_fields AND n_fields >= 2)", f"(SELECT * FROM {ITEMS} WHERE len(fields) >= 2)"))
 def contamination_rate_eligible(spark, sf):
-    docs, items = documents(spark, sf), contamination.eligible(_items(spark, sf))
+    docs, items = texts(spark, sf), contamination.eligible(_items(spark, sf))
     return contamination.rate(contamination.evaluate(docs, items), docs, items)
 
 
 @register("contamination_any_field", f"SELECT corpus, rate FROM ({_rate_sql(HITS)})")
 def contamination_any_field(spark, sf):
-    docs, items = documents(spark, sf), _items(spark, sf)
+    docs, items = texts(spark, sf), _items(spark, sf)
     return contamination.rate(contamination.evaluate(docs, items, require="any"), docs, items).select("corpus", "rate")
 
 
@@ -528,7 +541,7 @@ def _set_sql(name: str, items: str) -> str:
 
 @register("contamination_report", f"SELECT set, max(rate) AS max_rate, max(rate) >= 0.05 AS above_threshold, max(rate) = 0 AS is_zero FROM ({_set_sql('benchmark', ITEMS)} UNION ALL {_set_sql('conversations', _TURNS)}) GROUP BY set")
 def contamination_report(spark, sf):
-    docs = documents(spark, sf)
+    docs = texts(spark, sf)
     turns = table(spark, sf, "conversations").groupBy(F.col("conv_id").alias("item_id")).agg(F.transform(F.array_sort(F.collect_list(F.struct("turn", "text"))), lambda t: t["text"]).alias("fields"))
     rates = [contamination.rate(contamination.evaluate(docs, items), docs, items).select(F.lit(name).alias("set"), "corpus", "rate") for name, items in (("benchmark", _items(spark, sf)), ("conversations", turns))]
     return contamination.report(rates[0].union(rates[1]))
@@ -536,7 +549,7 @@ def contamination_report(spark, sf):
 
 @register("decontaminate", f"SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM {ALL_HITS})")
 def decontaminate(spark, sf):
-    docs = documents(spark, sf)
+    docs = texts(spark, sf)
     return contamination.remove(docs, contamination.evaluate(docs, _items(spark, sf))).select("doc_id")
 
 
@@ -546,7 +559,7 @@ def _shingles_sql(source: str, key: str) -> str:
 
 @register("contamination_overlap", f"WITH i AS ({_shingles_sql('(SELECT item_id, array_to_string(fields, chr(32)) AS text FROM ' + ITEMS + ')', 'item_id')}), d AS ({_shingles_sql('documents', 'doc_id')}), n AS (SELECT item_id, count(*) AS n FROM i GROUP BY item_id) SELECT doc_id, item_id, round(count(*) / any_value(n), 6) AS overlap FROM i JOIN d USING (gram) JOIN n USING (item_id) GROUP BY doc_id, item_id HAVING overlap >= 0.5")
 def contamination_overlap(spark, sf):
-    return contamination.overlap(documents(spark, sf), _items(spark, sf))
+    return contamination.overlap(texts(spark, sf), _items(spark, sf))
 
 
 # --- personal data ------------------------------------------------------------------------------
@@ -622,29 +635,29 @@ def _lexicon(spark: SparkSession) -> DataFrame:
 
 @register("toxic_taxonomy", f"SELECT corpus, category, CAST(sum(n) AS BIGINT) AS mentions, round(sum(n) / any_value(t), 9) AS per_token FROM {MATCH_SQL} JOIN (SELECT corpus, sum(n_tokens) AS t FROM {DOCS} GROUP BY corpus) USING (corpus) GROUP BY corpus, category")
 def toxic_taxonomy(spark, sf):
-    return toxicity.taxonomy(documents(spark, sf), _lexicon(spark))
+    return toxicity.taxonomy(texts(spark, sf), _lexicon(spark))
 
 
 @register("toxic_documents", f"SELECT source AS corpus, count(*) AS n_docs, count(h.doc_id) AS n_toxic, round(100 * count(h.doc_id) / count(*), 6) AS pct FROM documents d LEFT JOIN {TOXIC_IDS_SQL} h ON d.doc_id = h.doc_id GROUP BY source")
-def toxic_documents(spark, sf):
-    return toxicity.documents(documents(spark, sf), _lexicon(spark))
+def toxic_texts(spark, sf):
+    return toxicity.documents(texts(spark, sf), _lexicon(spark))
 
 
 @register("toxic_lexicon_quality", f"SELECT count(*) FILTER (hit AND toxic = 1) AS tp, count(*) FILTER (hit AND toxic <> 1) AS fp, count(*) FILTER (NOT hit AND toxic = 1) AS fn, count(*) FILTER (NOT hit AND toxic <> 1) AS tn FROM (SELECT toxic, l.doc_id IN (SELECT doc_id FROM {TOXIC_IDS_SQL}) AS hit FROM labels l)")
 def toxic_lexicon_quality(spark, sf):
-    return toxicity.quality(toxicity.toxic_ids(documents(spark, sf), _lexicon(spark)), table(spark, sf, "labels"))
+    return toxicity.quality(toxicity.toxic_ids(texts(spark, sf), _lexicon(spark)), table(spark, sf, "labels"))
 
 
 @register("toxic_classifier")
 def toxic_classifier(spark, sf):
-    docs = documents(spark, sf)
+    docs = texts(spark, sf)
     return toxicity.classify(docs, toxicity.train(docs, table(spark, sf, "labels")))
 
 
 @register("toxic_classifier_quality")
 def toxic_classifier_quality(spark, sf):
     """Held-out measures: one of five folds is left out of training and judged."""
-    docs, labels = documents(spark, sf), table(spark, sf, "labels")
+    docs, labels = texts(spark, sf), table(spark, sf, "labels")
     held = F.col("doc_id") % 5 == 0
     model = toxicity.train(docs, labels, fold=0)
     return toxicity.scores(toxicity.classify(docs.filter(held), model), labels.filter(held))
@@ -653,7 +666,7 @@ def toxic_classifier_quality(spark, sf):
 @register("toxic_agreement")
 def toxic_agreement(spark, sf):
     """Classifier against lexicon over all documents."""
-    docs = documents(spark, sf)
+    docs = texts(spark, sf)
     by_words = docs.select("doc_id").join(toxicity.toxic_ids(docs, _lexicon(spark)).withColumn("hit", F.lit(1)), "doc_id", "left").select("doc_id", F.coalesce("hit", F.lit(0)).alias("toxic"))
     return toxicity.agreement(toxic_classifier(spark, sf), by_words)
 
@@ -666,7 +679,7 @@ GROUP_SQL = _values(lexicons.GROUP_TERMS, "grp", "term")
 
 
 def _sentiment_args(spark: SparkSession, sf: str) -> tuple:
-    return documents(spark, sf), spark.createDataFrame(lexicons.GROUP_TERMS, "grp string, term string"), spark.createDataFrame(POLARITY_ROWS, "term string, score double")
+    return texts(spark, sf), spark.createDataFrame(lexicons.GROUP_TERMS, "grp string, term string"), spark.createDataFrame(POLARITY_ROWS, "term string, score double")
 
 
 @register("demographic_sentiment", f"SELECT grp, term, count(*) AS n_sentences, round(avg(CAST(polarity AS DOUBLE)), 6) AS mean_polarity FROM {SENT_TERMS_SQL} JOIN {GROUP_SQL} USING (term) JOIN {POLAR_SQL} USING (doc_id, s) GROUP BY grp, term")

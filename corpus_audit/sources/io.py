@@ -17,6 +17,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """A scan of fewer splits than cores, dealt over all of them; larger inputs are left as they are.
+
+    For analyses that do much work per text. ``df`` must be a plain scan, whose partitions are known without running it.
+    """
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df if df.isStreaming or df._jdf.rdd().getNumPartitions() >= cores else df.repartition(cores)
+
+
 def load_corpus(source: DataFrame, mapping: dict[str, str | Column]) -> DataFrame:
     """Map a source's columns to the core schema; fields that the mapping leaves out are null."""
     given = {k: F.col(v) if isinstance(v, str) else v for k, v in mapping.items()}
