@@ -25,6 +25,10 @@ def scratch_root(spark: SparkSession) -> str:
     return root.rstrip("/")
 
 
+#: Scratch tables not discarded yet, oldest first.
+_live: list[DataFrame] = []
+
+
 def materialize(df: DataFrame, tag: str) -> DataFrame:
     """Write ``df`` as Parquet below the shared folder and return it reread (cuts lineage)."""
     spark = df.sparkSession
@@ -32,9 +36,17 @@ def materialize(df: DataFrame, tag: str) -> DataFrame:
     df.write.option("compression", "zstd").parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path
+    _live.append(out)
     return out
 
 
+def made_by(work: Callable[[], DataFrame]) -> tuple[DataFrame, list[DataFrame]]:
+    """The result of ``work`` and the scratch tables that it made and left."""
+    start = list(_live)
+    out = work()
+    return out, [t for t in _live if not any(t is s for s in start)]
+
+
 def discard(*tables: DataFrame) -> None:
     """Delete scratch tables that no later plan reads."""
     for table in tables:
@@ -43,6 +55,7 @@ def discard(*tables: DataFrame) -> None:
             spark = table.sparkSession
             target = spark._jvm.org.apache.hadoop.fs.Path(path)
             target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
+            _live[:] = [t for t in _live if t is not table]
 
 
 def documents(spark: SparkSession, sf_dir: str, *columns: str) -> DataFrame:
@@ -81,4 +94,16 @@ def fit_in_task(sample: DataFrame, text: str, label: str, order: list[str], fit:
 
     one = sample.select(text, label, *[c for c in order if c not in (text, label)]).repartition(1).sortWithinPartitions(*order)
     found = one.mapInArrow(run, "model binary").first()
-    return pickle.loads(found["model"])
+    return pickle.loads(found["model"]) if found else fit([], [])  # an empty sample may run no task
+
+
+def learning_sample(rows: DataFrame, key: str, label: str, limit: int) -> DataFrame:
+    """``key, label`` of about ``limit`` rows of each label: those whose id's hash, as a share of its range, lies below limit / rows of the label.
+
+    One count per label is all that is gathered; the sample depends on the ids alone and is the
+    whole label where that has no more than ``limit`` rows. Null ids and labels are left out.
+    """
+    known = rows.select(key, label).filter(F.col(key).isNotNull() & F.col(label).isNotNull()).distinct()
+    counts = known.groupBy(label).agg(F.count("*").alias("__rows"))  # one row per label
+    share = F.pmod(F.xxhash64(key, F.lit(97)), F.lit(1 << 30)) / (1 << 30)
+    return known.join(F.broadcast(counts), label).filter(share * F.col("__rows") < limit).select(key, label)

@@ -13,17 +13,16 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from corpus_audit.llm.common import held_out, small_side, whole_text
+from corpus_audit.llm.common import fit_in_task, held_out, learning_sample, small_side, whole_text
 from corpus_audit.llm.kernels import slices, text_buffer
 
 DIMENSIONS, N = 512, 3
 #: Letters with vectors of their own; all rarer ones share the last. Number 0 is the gap between words.
 ALPHABET = 48
-#: Learning rows per language at most: those whose ids hash lowest.
-MAX_LEARN = 1500
+#: Learning rows per language, and the longest text among them.
+MAX_LEARN, MAX_LEARN_CHARS = 1500, 60_000
 UNKNOWN = "und"
 
 
@@ -107,16 +106,14 @@ class Profiles:
 
 
 def learn(docs: DataFrame, text: str = "text", label: str = "lang", key: str = "doc_id", limit: int = MAX_LEARN) -> Profiles:
-    """Prototypes from rows outside the held-out fold with a language: at most ``limit`` rows of each.
+    """Prototypes from rows outside the held-out fold with a language: about ``limit`` rows of each at most.
 
-    The rows are those whose ids have the lowest hashes, found from ids and labels alone; ties go by id.
+    The rows are found from ids and labels alone; texts of more than MAX_LEARN_CHARS are left out of the sample.
     """
     fold = docs.filter(~held_out(key) & F.col(label).isNotNull() & F.col(text).isNotNull())
-    order = W.partitionBy(label).orderBy(F.xxhash64(key), key)
-    chosen = fold.select(key, label).withColumn("__n", F.row_number().over(order)).filter(F.col("__n") <= limit).select(key).distinct()
-    rows = fold.join(small_side(chosen), key, "left_semi").select(text, label).toPandas()
-    rows = rows.sort_values([label, text], kind="stable")
-    return Profiles(rows[text].tolist(), rows[label].tolist())
+    chosen = learning_sample(fold, key, label, limit).select(key).distinct()
+    rows = fold.filter(F.length(text) <= MAX_LEARN_CHARS).join(small_side(chosen), key, "left_semi")
+    return fit_in_task(rows.select(key, text, label), text, label, [key, text], Profiles)
 
 
 def identify(docs: DataFrame, profiles: Profiles, text: str = "text", key: str = "doc_id") -> DataFrame:

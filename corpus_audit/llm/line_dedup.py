@@ -140,7 +140,7 @@ def repeated_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 
 
 def deduplicate_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """All columns of ``docs`` with ``text`` freed of later repeated runs, ``n_lines`` and ``n_removed_lines``.
+    """All columns of ``docs`` with ``text`` freed of later repeated runs, and ``n_lines`` and ``n_removed_lines`` (which replace columns so named).
 
     ``n_lines`` counts lines with a word; blank lines always stay. Texts without repeats, null ones
     included, are returned unchanged; a text all of whose lines are repeats becomes the empty text
@@ -150,17 +150,18 @@ def deduplicate_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     size = runs.agg(F.count("*"), F.coalesce(F.sum(F.size("drop")), F.lit(0))).first()
     if size[0] <= BROADCAST_ROWS // 4 and size[1] <= 2 * BROADCAST_ROWS:
         runs = F.broadcast(runs)
-    keyed = _keyed(docs)
-    joined = keyed.join(runs, (keyed["__ord"] == runs["ord"]) & (keyed["__th"] == runs["th"]), "left")
+    kept = [c for c in docs.columns if c not in ("n_lines", "n_removed_lines")]
+    runs = runs.select(F.col("ord").alias("__o"), F.col("th").alias("__t"), F.col("drop").alias("__drop"))
+    joined = _keyed(docs.select(*kept)).join(runs, (F.col("__ord") == F.col("__o")) & (F.col("__th") == F.col("__t")), "left")
     joined = joined.withColumn("__parts", F.split(whole_text(), "\n"))
     last = F.size("__parts") - 1
-    joined = joined.withColumn("__stay", F.when(F.col("drop").isNotNull(), F.array_except(F.sequence(F.lit(0), last), F.col("drop"))))
+    joined = joined.withColumn("__stay", F.when(F.col("__drop").isNotNull(), F.array_except(F.sequence(F.lit(0), last), F.col("__drop"))))
     cleaned = F.array_join(F.transform("__stay", lambda i: F.get("__parts", i)), "\n")
     blank = F.filter("__parts", lambda x: F.length(F.translate(x, " \t\n\x0b\x0c\r", "")) > 0)
     return joined.select(
-        *(F.when(F.col("__stay").isNotNull(), cleaned).otherwise(docs["text"]).alias("text") if c == "text" else docs[c] for c in docs.columns),
+        *(F.when(F.col("__stay").isNotNull(), cleaned).otherwise(F.col("text")).alias("text") if c == "text" else c for c in kept),
         F.size(blank).cast("long").alias("n_lines"),
-        F.coalesce(F.size("drop"), F.lit(0)).cast("long").alias("n_removed_lines"),
+        F.coalesce(F.size("__drop"), F.lit(0)).cast("long").alias("n_removed_lines"),
     )
 
 
@@ -172,5 +173,6 @@ def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without their repeated runs; a document all of whose lines were repeats elsewhere goes."""
-    out = deduplicate_lines(docs)
-    return out.filter(~((F.col("n_removed_lines") > 0) & (F.col("n_removed_lines") == F.col("n_lines")))).select(*docs.columns)
+    out = deduplicate_lines(docs.select(F.struct(*docs.columns).alias("__row"), "doc_id", "text"))
+    left = out.filter(~((F.col("n_removed_lines") > 0) & (F.col("n_removed_lines") == F.col("n_lines"))))
+    return left.select(F.col("__row").withField("text", F.col("text")).alias("__row")).select("__row.*").select(*docs.columns)

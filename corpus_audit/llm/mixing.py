@@ -18,14 +18,13 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from corpus_audit.llm import kernels as K
-from corpus_audit.llm.common import fit_in_task, held_out, materialize, small_side, whole_text
+from corpus_audit.llm.common import fit_in_task, held_out, learning_sample, materialize, small_side, whole_text
 
 BUCKETS = 1 << 16
-#: Learning rows per domain at most (those whose ids hash lowest), and the longest text among them.
+#: Learning rows per domain, and the longest text among them.
 MAX_LEARN, MAX_LEARN_CHARS = 1000, 60_000
 #: Share of tokens that each domain shall have; domains not named share what is left by their present size.
 TARGETS = {"q1t0": 0.90}
@@ -61,7 +60,7 @@ def fit(texts: list[str], domains: list[str], shares: dict[str, float], epochs:
     names = sorted(shares)
     words = K.Words.whole(*K.text_buffer(pa.array(texts, type=pa.string())), folded=True)
     rows, counts = Classifier.rows(words.hash), np.diff(words.first)
-    label = np.asarray([names.index(d) for d in domains])
+    label = np.asarray([names.index(d) for d in domains], dtype=np.int64)
     weights, bias = np.zeros((BUCKETS, len(names)), dtype=np.float32), np.zeros(len(names))
     squares, rng = np.full(BUCKETS, 1e-3), np.random.default_rng(seed)
     for _ in range(epochs):
@@ -95,9 +94,8 @@ def learn(docs: DataFrame, labels: DataFrame, limit: int = MAX_LEARN) -> Classif
     """
     named = F.concat(F.lit("q"), F.col("quality").cast("string"), F.lit("t"), F.col("toxic").cast("string"))
     known = labels.filter(F.col("doc_id").isNotNull() & ~held_out()).select("doc_id", named.alias("domain")).filter(F.col("domain").isNotNull()).groupBy("doc_id").agg(F.min("domain").alias("domain"))
-    order = W.partitionBy("domain").orderBy(F.xxhash64("doc_id"), "doc_id")
     shares = dict(known.groupBy("domain").count().collect())  # one row per domain
-    chosen = known.withColumn("__n", F.row_number().over(order)).filter(F.col("__n") <= limit).select("doc_id", "domain")
+    chosen = learning_sample(known, "doc_id", "domain", limit)
     rows = docs.select("doc_id", "text").filter(F.length("text") <= MAX_LEARN_CHARS).join(small_side(chosen), "doc_id")
     if not shares:
         return Classifier(["all"], np.zeros((BUCKETS, 1), dtype=np.float32), np.zeros(1))

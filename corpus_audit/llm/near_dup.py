@@ -197,7 +197,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
     links, found, tried = None, None, None
     for turn in range(ROUNDS):
         placed = _placed(shared, found)
-        order = F.xxhash64("node", "key", F.lit(turn))  # a pivot of its own for every bucket
+        # Each chunk (later each bucket) puts the nodes in an order of its own, so that a node meets several pivots.
+        order = F.xxhash64("node", F.shiftrightunsigned("key", 50) if turn == 0 else F.col("key"), F.lit(turn))
         pivots = placed.groupBy("key").agg(F.min_by("node", order).alias("pivot"), F.min_by("component", order).alias("home"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("key", "pivot", "home")
         stars = placed.join(pivots, "key").filter("component != home").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
         scored = stars.join(_checks(classes, "u", "p"), "u").join(_checks(classes, "v", "q"), "v").filter(_may_link("p", "q")).select("u", "v", _bits_apart("p", "q").alias("apart"))

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpus_audit.llm.common import discard, materialize, whole_text
+from corpus_audit.llm.common import materialize, whole_text
 
 MIN_WORDS, MAX_REPEAT_PERCENT, WINDOW = 20, 30, 8
 #: Further document rules; they count toward the host's rate alone.
@@ -137,10 +137,12 @@ FROM f JOIN v ON f.source IS NOT DISTINCT FROM v.source
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents that pass: their text, with the measures beside it, is stored once and joined to the host verdicts."""
-    columns = docs.columns
-    wide = measures(docs.withColumn("__body", F.col("text")), [*columns, "__body"] if "__body" not in columns else columns)
-    base = materialize(wide.withColumn("__failed", F.col("base_failed")), "quality")
-    verdicts = host_verdicts(base.drop("__body"))
-    kept = base.filter(~F.col("base_failed")).join(verdicts, base["source"].eqNullSafe(verdicts["host_key"])).filter("host_kept")
-    return kept.select(*columns)
+    """The documents that pass: rows are stored once with their measures and joined to the host verdicts.
+
+    A null text has no words and fails; an empty table stays empty; other columns are carried along untouched.
+    """
+    packed = docs.select(F.struct(*docs.columns).alias("__row"), F.col("source").alias("__host"), "text")
+    base = materialize(measures(packed, ["__row", "__host"]), "quality")
+    verdicts = host_verdicts(base, "__host")
+    kept = base.filter(~F.col("base_failed")).join(verdicts, base["__host"].eqNullSafe(verdicts["host_key"])).filter("host_kept")
+    return kept.select("__row.*")

@@ -65,15 +65,16 @@ def sizes(docs: DataFrame) -> DataFrame:
 
 
 def write_shards(docs: DataFrame, path: str, n_shards: int = SHARDS) -> None:
-    """Write all columns of ``docs`` as Parquet below ``path``, one directory per shard, rows in slot order.
+    """Write all columns of ``docs`` as Parquet below ``path``, one directory ``__shard=k`` per shard, rows in slot order.
 
     Rows of a repeated (doc_id, text) go to the first of their shards.
     """
     placed = shard_sizes(sizes(docs), n_shards).groupBy("doc_id", "text_crc32").agg(F.min(F.struct("shard", "slot")).alias("__at"))
     keyed = docs.withColumn("__id", F.col("doc_id").cast("long")).withColumn("__crc", F.crc32(whole_text().cast("binary")))
-    joined = keyed.join(placed, keyed["__id"].eqNullSafe(placed["doc_id"]) & (F.col("__crc") == F.col("text_crc32")))
-    out = joined.select(*(docs[c] for c in docs.columns), F.col("__at.shard").alias("shard"), F.col("__at.slot").alias("__slot"))
-    out.repartitionByRange("shard", "__slot").sortWithinPartitions("shard", "__slot").drop("__slot").write.partitionBy("shard").parquet(path)
+    placed = placed.select(F.col("doc_id").alias("__pid"), F.col("text_crc32").alias("__pcrc"), "__at")
+    joined = keyed.join(placed, keyed["__id"].eqNullSafe(placed["__pid"]) & (F.col("__crc") == F.col("__pcrc")))
+    out = joined.select(*docs.columns, F.col("__at.shard").alias("__shard"), F.col("__at.slot").alias("__slot"))
+    out.repartitionByRange("__shard", "__slot").sortWithinPartitions("__shard", "__slot").drop("__slot").write.partitionBy("__shard").parquet(path)
 
 
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -14,15 +14,14 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from corpus_audit.llm import kernels as K
-from corpus_audit.llm.common import fit_in_task, held_out, small_side, whole_text
+from corpus_audit.llm.common import fit_in_task, held_out, learning_sample, small_side, whole_text
 
 WINDOW, STRIDE = 24, 12
 WORD_ROWS, CHAR_ROWS, WORD_DIM, CHAR_DIM, HIDDEN = 1 << 15, 1 << 14, 8, 12, 8
-#: Learning rows per label at most (those whose ids hash lowest), and the longest text among them.
+#: Learning rows per label, and the longest text among them.
 MAX_LEARN, MAX_LEARN_CHARS = 2000, 60_000
 THRESHOLD = 0.7
 BLOCK = 2048
@@ -283,14 +282,13 @@ def train(texts: list[str], labels: list[int], rounds: int = 4, batch: int = 192
 
 
 def learn(docs: DataFrame, labels: DataFrame, limit: int = MAX_LEARN) -> Network:
-    """Fit on labelled rows outside the held-out fold: at most ``limit`` of each label, found from ids alone.
+    """Fit on labelled rows outside the held-out fold: about ``limit`` of each label at most, found from ids alone.
 
     Repeated labels of an id count once, toxic if any is; rows without text and texts of more than
     MAX_LEARN_CHARS characters are left out of the sample.
     """
     known = labels.filter(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-    order = W.partitionBy("toxic").orderBy(F.xxhash64("doc_id"), "doc_id")
-    chosen = known.withColumn("__n", F.row_number().over(order)).filter(F.col("__n") <= limit).select("doc_id", "toxic")
+    chosen = learning_sample(known, "doc_id", "toxic", limit)
     rows = docs.select("doc_id", "text").filter(F.length("text") <= MAX_LEARN_CHARS).join(small_side(chosen), "doc_id")
     return fit_in_task(rows, "text", "toxic", ["doc_id", "text"], train)
 
