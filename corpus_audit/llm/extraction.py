@@ -35,6 +35,8 @@ _ATTR = re.compile(r"(class|id|role|hidden|aria-hidden)\s*(?:=\s*(?:\"([^\"]*)\"
 _RAW = frozenset("script style noscript template iframe title textarea xmp noembed object svg math canvas audio video select button".split())
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 _BLOCK = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol option p pre search section summary table tbody td tfoot th thead tr ul".split())
+_ENDS_P = _BLOCK - frozenset("body caption head html legend option tbody td tfoot th thead tr".split())
+_SCOPE = frozenset("caption html table td th".split())
 _NEVER = frozenset("head nav aside footer form menu dialog".split())
 _MAIN = frozenset(["article", "main"])
 _NEVER_PARTS = frozenset("ad ads advert adverts advertisement advertising adsense sponsor sponsored promo promotion banner comment comments commentlist respond replies disqus sidebar menu nav navbar navigation breadcrumb breadcrumbs notice notices cookie cookies consent gdpr popup modal overlay newsletter subscribe share sharing social related widget toolbar pagination pager".split())
@@ -98,11 +100,14 @@ def blocks(page: str) -> list[tuple[str, int, str]]:
             stop = re.compile(rf"</{re.escape(name)}\b[^>]*>", re.I).search(page, at)
             at = stop.end() if stop else len(page)
         elif name not in _VOID:
-            if name == "p" and stack and "p" in [x for x, _ in stack[-3:]]:
-                while stack and stack[-1][0] != "p":
-                    stack.pop()
-                stack.pop()
-                zone = stack[-1][1] if stack else PLAIN
+            if name in _ENDS_P:  # a block that begins ends an open paragraph, with what is open inside it
+                for k in range(len(stack) - 1, -1, -1):
+                    if stack[k][0] in _SCOPE:
+                        break
+                    if stack[k][0] == "p":
+                        del stack[k:]
+                        zone = stack[-1][1] if stack else PLAIN
+                        break
             zone = _zone(name, m["attrs"] or m["attrs2"] or "", zone)
             stack.append((name, zone))
     if zone != NEVER:

@@ -130,7 +130,8 @@ def test_extraction(spark):
 
 
 def test_stages_on_odd_rows(spark, docs, sf):
-    df = docs
+    more = [(100 + i, CLEAN.replace("quiet", f"quiet{i} grey{i}").replace("boats", f"boats{i} and rafts{i}").replace("bridge", f"bridge{i}"), "en", ("a", "b")[i % 2], 1) for i in range(40)]
+    df = docs.unionByName(spark.createDataFrame(more, DOCS), allowMissingColumns=True)
     for name, stage in corpus_pipeline.STAGES[:-1]:
         out = near(stage(spark, df, sf))
         assert out.columns == docs.columns, name
