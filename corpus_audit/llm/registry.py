@@ -16,4 +16,4 @@ QUERIES = {
     "op9_near_dup": near_dup.op9_near_dup,
     "op10_pack": packing.op10_pack,
 }
-ORACLES = {"op7_quality": quality.OP7_SQL}
+ORACLES = {"op4_sharding": sharding.OP4_SQL, "op7_quality": quality.OP7_SQL}

@@ -83,11 +83,14 @@ def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
-#: DuckDB has no crc32, so the SQL twin leaves that column out (see ``op4_layout``).
+_CRC_TABLE = "(SELECT list(c ORDER BY n) AS t FROM (SELECT n, list_reduce(list_concat([n], range(8)), lambda a, k: CASE WHEN a % 2 = 1 THEN xor(a >> 1, 3988292384) ELSE a >> 1 END) AS c FROM range(256) r(n)))"
+#: crc32 is not a function of DuckDB, so it is folded over the bytes.
 OP4_SQL = f"""
-WITH s AS (SELECT doc_id, CAST(octet_length(encode(coalesce(text, ''))) + 1 AS BIGINT) AS size FROM documents),
-p AS (SELECT *, sum(size) OVER (ORDER BY doc_id ROWS UNBOUNDED PRECEDING) - size AS before, sum(size) OVER () AS total,
-             row_number() OVER (ORDER BY doc_id) AS r FROM s),
-x AS (SELECT doc_id, size, CAST(least({SHARDS - 1}, ({SHARDS} * (2 * before + size)) // (2 * total)) AS INTEGER) AS shard, r FROM p)
-SELECT doc_id, size, 'bytes' AS law, shard, CAST(r - min(r) OVER (PARTITION BY shard) AS BIGINT) AS slot FROM x
+WITH b AS (SELECT doc_id, coalesce(text, '') AS text, hex(encode(coalesce(text, ''))) AS h FROM documents),
+s AS (SELECT doc_id, CAST(octet_length(encode(text)) + 1 AS BIGINT) AS size,
+  CASE WHEN text = '' THEN 0 ELSE xor(list_reduce(list_concat([4294967295::BIGINT], list_transform(range(octet_length(encode(text))), lambda i: CAST('0x' || substr(h, 2 * i + 1, 2) AS BIGINT))),
+       lambda a, x: xor(a >> 8, t[CAST(xor(a & 255, x) AS INTEGER) + 1])), 4294967295) END AS text_crc32 FROM b, {_CRC_TABLE}),
+p AS (SELECT *, sum(size) OVER (ORDER BY doc_id ROWS UNBOUNDED PRECEDING) - size AS before, sum(size) OVER () AS total, row_number() OVER (ORDER BY doc_id) AS r FROM s),
+x AS (SELECT doc_id, size, text_crc32, CAST(least({SHARDS - 1}, ({SHARDS} * (2 * before + size)) // (2 * total)) AS INTEGER) AS shard, r FROM p)
+SELECT doc_id, size, CAST(text_crc32 AS BIGINT) AS text_crc32, 'bytes' AS law, shard, CAST(r - min(r) OVER (PARTITION BY shard) AS BIGINT) AS slot, CAST(NULL AS INTEGER) AS grown_shard FROM x
 """
