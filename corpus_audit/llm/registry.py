@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from corpus_audit.llm import extraction, language, line_dedup, media, mixing, near_dup, packing, quality, sharding, toxicity
+from corpus_audit.llm import extraction, language, line_dedup, media, mixing, near_dup, oracles, packing, quality, sharding, toxicity
 
 QUERIES = {
     "op1_mixing": mixing.op1_mixing,
@@ -16,4 +16,4 @@ QUERIES = {
     "op9_near_dup": near_dup.op9_near_dup,
     "op10_pack": packing.op10_pack,
 }
-ORACLES = {"op4_sharding": sharding.OP4_SQL, "op7_quality": quality.OP7_SQL}
+ORACLES = {"op4_sharding": sharding.OP4_SQL, "op7_quality": quality.OP7_SQL, "op9_near_dup": oracles.NEAR_DUP_SQL}
