@@ -11,7 +11,8 @@ which falls steeply above.
 
 Pairs are never expanded inside a bucket as long as its members may still come together: in each
 of ``ROUNDS`` rounds every bucket has one pivot, the members of other components are held against
-it, each of them tries its ``TRIES`` most similar pivots, and confirmed links are contracted to components.
+it, each of them tries the ``TRIES`` most similar of the
+``MET`` pivots that it shares most keys with, and confirmed links are contracted to components.
 Only then are members of different components that share a bucket compared with each other.
 """
 
@@ -31,7 +32,7 @@ from corpus_audit.llm.graph import connected_components
 
 SYMBOLS, CHECK_BITS = 512, 184
 INDEXED, CHUNK, DISTANCE = 64, 4, 31
-ROUNDS, TRIES = 2, 4
+ROUNDS, MET, TRIES = 3, 20, 4
 INDEX_LANES, CHECK_LANES = INDEXED // 4, SYMBOLS // 32
 LANES = [*(f"s{i}" for i in range(INDEX_LANES)), *(f"c{i}" for i in range(CHECK_LANES))]
 _seeds = np.random.default_rng(977)
@@ -200,9 +201,10 @@ def near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
         # Each chunk (later each bucket) puts the nodes in an order of its own, so that a node meets several pivots.
         order = F.xxhash64("node", F.shiftrightunsigned("key", 50) if turn == 0 else F.col("key"), F.lit(turn))
         pivots = placed.groupBy("key").agg(F.min_by("node", order).alias("pivot"), F.min_by("component", order).alias("home"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("key", "pivot", "home")
-        stars = placed.join(pivots, "key").filter("component != home").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
+        # A node meets one pivot at most for each of its keys, so the lists below are bounded; it goes on with those it shares most keys with.
+        stars = placed.join(pivots, "key").filter("component != home").groupBy(F.col("node").alias("u"), F.col("pivot").alias("v")).agg(F.count("*").alias("n"))
+        stars = stars.groupBy("u").agg(F.slice(F.array_sort(F.collect_list(F.struct((-F.col("n")).alias("n"), "v"))), 1, MET).alias("best")).select("u", F.explode("best.v").alias("v"))
         scored = stars.join(_checks(classes, "u", "p"), "u").join(_checks(classes, "v", "q"), "v").filter(_may_link("p", "q")).select("u", "v", _bits_apart("p", "q").alias("apart"))
-        # A node meets at most one pivot for each of its keys, so its list is bounded.
         nearest = scored.groupBy("u").agg(F.slice(F.array_sort(F.collect_list(F.struct("apart", "v"))), 1, TRIES).alias("best"))
         near = materialize(nearest.select("u", F.explode("best.v").alias("v")), "near")
         links, found, tried = _grown(docs, near, links, found, tried)

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpus_audit.llm.common import materialize, whole_text
+from corpus_audit.llm.common import materialize, small_side, whole_text
 
 MIN_WORDS, MAX_REPEAT_PERCENT, WINDOW = 20, 30, 8
 #: Further document rules; they count toward the host's rate alone.
@@ -92,7 +92,7 @@ def host_verdicts(measured: DataFrame, host: str = "source") -> DataFrame:
 
 def judged(measured: DataFrame, host: str = "source") -> DataFrame:
     """``measured`` (a stored table) with its host's verdict and ``kept``: no base rule failed and the host is kept."""
-    verdicts = host_verdicts(measured, host)
+    verdicts = small_side(host_verdicts(measured, host))
     joined = measured.join(verdicts, measured[host].eqNullSafe(verdicts["host_key"]))
     return joined.withColumn("kept", ~F.col("base_failed") & F.col("host_kept"))
 
@@ -143,6 +143,6 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """
     packed = docs.select(F.struct(*docs.columns).alias("__row"), F.col("source").alias("__host"), "text")
     base = materialize(measures(packed, ["__row", "__host"]), "quality")
-    verdicts = host_verdicts(base, "__host")
+    verdicts = small_side(host_verdicts(base, "__host"))
     kept = base.filter(~F.col("base_failed")).join(verdicts, base["__host"].eqNullSafe(verdicts["host_key"])).filter("host_kept")
     return kept.select("__row.*")
