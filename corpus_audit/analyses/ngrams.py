@@ -2,19 +2,16 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from corpus_audit.counting.exact import bottom, tally, top
 from corpus_audit.counting.hashed import HashSpec, cell_counts, cold_cells, hot_cells
-from corpus_audit.text.ngrams import chunked, grams, hash_rows
-from corpus_audit.text.tokenize import tokens
+from corpus_audit.text.ngrams import grams, window_rows
 
 #: Cells up to which a list of cells is broadcast.
 BROADCAST_CELLS = 1_000_000
-#: Bits of the map that sorts out windows of other cells.
-BITMAP = 1 << 20
 
 
 def top_exact(df: DataFrame, n: int, k: int) -> DataFrame:
@@ -31,38 +28,31 @@ def top_by_corpus(df: DataFrame, n: int, k: int) -> DataFrame:
     return counted.withColumn("rnk", F.row_number().over(W.partitionBy("corpus").orderBy(F.desc("cnt"), "gram"))).filter(F.col("rnk") <= k)
 
 
+def _cell(spec: HashSpec) -> Column:
+    """The cell of a window by the fast hash of its tokens; hashing follows the explode, inside generated code."""
+    return F.pmod(F.xxhash64(F.lit(spec.seed), "window"), F.lit(spec.m))
+
+
 def gram_cells(df: DataFrame, n: int, spec: HashSpec, by: list[str] | None = None) -> DataFrame:
-    """Cell counts of a corpus's n-grams; the fast hash is taken of the tokens, and only its value leaves a document."""
+    """Cell counts of a corpus's n-grams; with the fast hash no string is built."""
     if spec.fn != "xxhash64":
         return cell_counts(grams(df, n, keep=by), "gram", spec, by)
-    return cell_counts(hash_rows(df, n, spec.seed, keep=by), F.pmod("hash", F.lit(spec.m)), spec, by)
+    return cell_counts(window_rows(df, n, keep=by), _cell(spec), spec, by)
 
 
 def candidates(df: DataFrame, n: int, cells: DataFrame, spec: HashSpec, few: bool = True) -> DataFrame:
     """gram, est_cnt, cnt of the n-grams whose cell is among ``cells`` (est_cnt is the cell's count).
 
-    With the fast hash and a short list, windows are tested by hash against a bitmap of the listed
-    cells inside their document, and only those that pass become rows and strings.
+    With the fast hash, strings are built only of windows whose cell is listed.
     """
     chosen = cells.select("cell", F.col("cnt").alias("est_cnt"))
+    chosen = F.broadcast(chosen) if few else chosen
     if spec.fn != "xxhash64":
-        placed = grams(df, n).withColumn("cell", spec.cell("gram"))
+        met = grams(df, n).withColumn("cell", spec.cell("gram")).join(chosen, "cell")
     else:
-        cut = chunked(df.select(tokens("text").alias("tokens")), n).filter(F.size("tokens") >= n)
-        cell = lambda i: F.pmod(F.xxhash64(F.lit(spec.seed), F.slice("tokens", i, n)), F.lit(spec.m))
-        starts = F.sequence(F.lit(1), F.size("tokens") - (n - 1))
-        if few:
-            listed = [0] * (BITMAP // 64)
-            for row in chosen.limit(BROADCAST_CELLS).collect():
-                at = row["cell"] % BITMAP
-                listed[at // 64] |= 1 << at % 64
-            signed = [x - (1 << 64) if x >> 63 else x for x in listed]
-            cut = cut.join(F.broadcast(df.sparkSession.createDataFrame([(signed,)], "bits array<bigint>")))
-            in_list = lambda i: F.getbit(F.get("bits", F.shiftright(F.pmod(cell(i), F.lit(BITMAP)), 6).cast("int")), F.pmod(cell(i), F.lit(64)).cast("int")) == 1
-            starts = F.filter(starts, in_list)
-        window = F.transform(starts, lambda i: F.struct(cell(i).alias("cell"), F.array_join(F.slice("tokens", i, n), " ").alias("gram")))
-        placed = cut.select(F.explode(window).alias("w")).select("w.cell", "w.gram")
-    return placed.join(F.broadcast(chosen) if few else chosen, "cell").groupBy("gram").agg(F.max("est_cnt").alias("est_cnt"), F.count("*").alias("cnt"))
+        met = window_rows(df, n).withColumn("cell", _cell(spec)).join(chosen, "cell")
+        met = met.withColumn("gram", F.col("window") if n == 1 else F.array_join("window", " "))
+    return met.groupBy("gram").agg(F.max("est_cnt").alias("est_cnt"), F.count("*").alias("cnt"))
 
 
 def top_hashed(df: DataFrame, n: int, k: int, spec: HashSpec) -> DataFrame:

@@ -35,13 +35,13 @@ def grams(df: DataFrame, n: int, text: str = "text", keep: list[str] | None = No
     return cut.select(*keep, F.explode(windows("tokens", n)).alias("window")).select(*keep, F.array_join("window", sep).alias("gram"))
 
 
-def hash_rows(df: DataFrame, n: int, seed: int, keep: list[str] | None = None, text: str = "text", mode: str = "unicode") -> DataFrame:
-    """As ``grams`` with ``hash`` in place of the string: eight bytes a row, and no window leaves its document."""
+def window_rows(df: DataFrame, n: int, keep: list[str] | None = None, text: str = "text", mode: str = "unicode") -> DataFrame:
+    """As ``grams`` with ``window``, the tokens as an array, in place of the string (one token stays a string)."""
     keep = keep or []
-    cut = chunked(df.select(*keep, tokens(text, mode).alias("tokens")), n)
-    starts = F.sequence(F.lit(1), F.size("tokens") - (n - 1))
-    hashes = F.transform(starts, lambda i: F.xxhash64(F.lit(seed), F.slice("tokens", i, n)))
-    return cut.filter(F.size("tokens") >= n).select(*keep, F.explode(hashes).alias("hash"))
+    tokenized = df.select(*keep, tokens(text, mode).alias("tokens"))
+    if n == 1:
+        return tokenized.select(*keep, F.explode("tokens").alias("window"))
+    return chunked(tokenized, n).select(*keep, F.explode(windows("tokens", n)).alias("window"))
 
 
 def grams_sql(n: int, source: str = "documents", keep: str = "doc_id, source AS corpus", column: str = "text") -> str:
