@@ -222,3 +222,29 @@ def stream_cells(spark, sf):
 def stream_running_distinct(spark, sf):
     docs = streams.source(spark, sf, "documents").select(F.col("source").alias("corpus"), "text")
     return streams.drained(streams.running_distinct(docs), "update")
+
+
+TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
+
+
+@register("scan_tables", " UNION ALL ".join(f"SELECT '{t}' AS name, count(*) AS n FROM {t}" for t in TABLES))
+def scan_tables(spark, sf):
+    """Rows of every table; counts come from the files' footers."""
+    counts = [table(spark, sf, t).agg(F.count("*").alias("n")).select(F.lit(t).alias("name"), "n") for t in TABLES]
+    out = counts[0]
+    for c in counts[1:]:
+        out = out.union(c)
+    return out
+
+
+@register("conversation_turns", "SELECT role, count(*) AS n, count(DISTINCT conv_id) AS n_conversations, max(turn) AS last_turn FROM conversations GROUP BY role")
+def conversation_turns(spark, sf):
+    return table(spark, sf, "conversations").groupBy("role").agg(F.count("*").alias("n"), F.countDistinct("conv_id").alias("n_conversations"), F.max("turn").alias("last_turn"))
+
+
+@register("embedding_centroids", "SELECT label, max(n) AS n, round(sqrt(sum(m * m)), 6) AS norm FROM (SELECT label, k, avg(CAST(x AS DOUBLE)) AS m, count(*) AS n FROM (SELECT label, unnest(range(len(embedding))) AS k, unnest(embedding) AS x FROM embeddings) GROUP BY label, k) GROUP BY label")
+def embedding_centroids(spark, sf):
+    """Dense retrieval's ground: size and length of each label's mean vector (searching by it is not part of the source's methods)."""
+    parts = table(spark, sf, "embeddings").select("label", F.posexplode("embedding").alias("k", "x"))
+    means = parts.groupBy("label", "k").agg(F.avg("x").alias("m"), F.count("*").alias("n"))
+    return means.groupBy("label").agg(F.max("n").alias("n"), F.round(F.sqrt(F.sum(F.col("m") * F.col("m"))), 6).alias("norm"))
