@@ -30,7 +30,7 @@ from corpus_audit.llm import kernels as K
 from corpus_audit.llm.common import discard, materialize, small_side, whole_text
 from corpus_audit.llm.graph import connected_components
 
-SYMBOLS, CHECK_BITS = 512, 184
+SYMBOLS, CHECK_BITS = 768, 260
 INDEXED, CHUNK, DISTANCE = 64, 4, 31
 ROUNDS, MET, TRIES = 3, 20, 4
 INDEX_LANES, CHECK_LANES = INDEXED // 4, SYMBOLS // 32
