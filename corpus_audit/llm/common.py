@@ -16,12 +16,17 @@ from pyspark.sql import functions as F
 BROADCAST_ROWS = 1_000_000
 
 
+#: The folder used where the session names none; it is made once per process.
+_own_root: list[str] = []
+
+
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder of ``spark.checkpoint.dir``; a fresh local one only where that is unset."""
+    """The shared folder of ``spark.checkpoint.dir``; a fresh local one only where that is unset, as in tests."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
-        root = f"file://{tempfile.mkdtemp(prefix='corpus_audit_')}"
-        spark.conf.set("spark.checkpoint.dir", root)
+        if not _own_root:
+            _own_root.append(f"file://{tempfile.mkdtemp(prefix='corpus_audit_')}")
+        root = _own_root[0]
     return root.rstrip("/")
 
 
