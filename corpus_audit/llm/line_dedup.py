@@ -3,9 +3,12 @@
 A document is a sequence of non-blank lines. For each line that begins a stretch of at least
 ``MIN_WORDS`` words, the window is the shortest such stretch, and the line with the lowest hash in
 it is a fingerprint; so any run of whole lines with that many words holds a fingerprint wherever
-it occurs. A fingerprint's later occurrences are joined to its first one (order: doc_id, then
-position), the match is extended both ways over equal lines, and runs of at least ``MIN_WORDS``
-words are deleted from the later place. The first occurrence of a line is never deleted.
+it occurs. Windows are also taken as the shortest stretch that ends with a line; a run of enough words
+is the union of the windows of both kinds that lie in it. Windows whose fingerprint line is one in no
+other place go; each of the others is held against the first place (order: doc_id, then position)
+of its whole content, and the lines of those that stood before are deleted. So a line goes if and
+only if it lies in a run of at least ``MIN_WORDS`` words that equals one at any earlier place. The
+first occurrence of a line is never deleted.
 """
 
 from __future__ import annotations
@@ -14,11 +17,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from corpus_audit.llm import kernels as K
-from corpus_audit.llm.common import BROADCAST_ROWS, discard, materialize, whole_text
+from corpus_audit.llm.common import BROADCAST_ROWS, discard, materialize, small_side, whole_text
 
 #: Words from which a repeated run is deleted.
 MIN_WORDS = 25
@@ -26,12 +29,42 @@ _LAST = 2**63 - 1
 _Q = [int(x) * 4 + 1 for x in np.random.default_rng(5150).integers(1, 2**61, 2)]
 
 
+def windows_of(hashes: np.ndarray, words: np.ndarray, first: np.ndarray, min_words: int = MIN_WORDS) -> tuple[np.ndarray, ...]:
+    """Start, stop and fingerprint of the windows of some documents, whose lines are ``first[d]:first[d + 1]``.
+
+    First come the shortest stretches from each line on, then the shortest ones up to a line that
+    are not among them; those have the fingerprint of the window that begins with them. Ties go to
+    the last line.
+    """
+    n = len(hashes)
+    total = np.concatenate([[0], np.cumsum(words, dtype=np.int64)])
+    begin, end = np.repeat(first[:-1], np.diff(first)), np.repeat(first[1:], np.diff(first))
+    stop = np.searchsorted(total, total[:-1] + min_words)
+    start = np.flatnonzero(stop <= end)
+    mark, low = np.arange(n), hashes.copy()
+    for step in range(1, int((stop[start] - start).max()) if len(start) else 0):
+        live = start[start + step < stop[start]]
+        live = live[hashes[live + step] <= low[live]]
+        mark[live], low[live] = live + step, hashes[live + step]
+    back = np.searchsorted(total, total[1:] - min_words, side="right") - 1
+    last = np.flatnonzero(back >= begin)
+    last = last[stop[back[last]] != last + 1]
+    a, b = np.concatenate([start, back[last]]), np.concatenate([stop[start], last + 1])
+    return a, b, mark[a]
+
+
 def winnow(hashes: np.ndarray, words: np.ndarray, min_words: int = MIN_WORDS) -> np.ndarray:
     """Positions of the fingerprints of one document's lines; ties in a window go to its last line."""
-    total = np.concatenate([[0], np.cumsum(words)])
-    stop = np.searchsorted(total, total[:-1] + min_words)  # the window of line i is [i, stop[i])
-    found = {int(b - 1 - np.argmin(hashes[a:b][::-1])) for a, b in enumerate(stop) if b < len(total)}
-    return np.asarray(sorted(found), dtype=np.int32)
+    return np.unique(windows_of(hashes, words, np.array([0, len(hashes)]), min_words)[2]).astype(np.int32)
+
+
+def content(hashes: np.ndarray, a: np.ndarray, b: np.ndarray, q: int) -> np.ndarray:
+    """A hash of the line hashes ``a[i]:b[i]``, whatever stands before and behind."""
+    n = len(hashes)
+    terms = hashes.view(np.uint64) * K.powers(q, n + 1)[:n]
+    total = np.concatenate([np.zeros(1, dtype=np.uint64), np.cumsum(terms, dtype=np.uint64)])
+    back = K.powers(pow(q, -1, 2**64), n + 1)[a]
+    return K.mix((total[b] - total[a]) * back + (b - a).astype(np.uint64)).view(np.int64)
 
 
 def line_arrays(words: K.Words, data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, ...]:
@@ -56,62 +89,22 @@ def line_arrays(words: K.Words, data: np.ndarray, off: np.ndarray) -> tuple[np.n
     return np.searchsorted(begin, words.first), hashes[0].view(np.int64), hashes[1].view(np.int64), counts.astype(np.int32), number.astype(np.int32)
 
 
-_LINES = "ord long, th long, h1 array<long>, h2 array<long>, words array<int>, number array<int>, marks array<int>"
+_WINDOWS = "ord long, th long, k1 long, k2 long, w1 long, w2 long, pos int, at int, n int"
 
 
-def _lines(batches: Iterator[pa.RecordBatch], min_words: int) -> Iterator[pa.RecordBatch]:
+def _windows(batches: Iterator[pa.RecordBatch], min_words: int) -> Iterator[pa.RecordBatch]:
+    """A row for each window: its fingerprint's hash, the hash of its content, its fingerprint's and its first line's place among the non-blank ones, its lines."""
     for batch in batches:
         data, off = K.text_buffer(batch.column("text"))
-        one, two, count, number, marks = [], [], [], [], []
+        ids, th = batch.column("ord").to_numpy(), batch.column("th").to_numpy()
         for i, j in K.slices(off):
             words = K.Words(data[off[i] : off[j]], off[i : j + 1] - off[i], folded=False)
-            first, h1, h2, n, at = line_arrays(words, data[off[i] : off[j]], off[i : j + 1] - off[i])
-            for a, b in zip(first[:-1], first[1:], strict=True):
-                one.append(h1[a:b])
-                two.append(h2[a:b])
-                count.append(n[a:b])
-                number.append(at[a:b])
-                marks.append(winnow(h1[a:b], n[a:b], min_words))
-        yield pa.RecordBatch.from_arrays(
-            [batch.column("ord"), batch.column("th"), *(pa.array(x, type=pa.list_(t)) for x, t in ((one, pa.int64()), (two, pa.int64()), (count, pa.int32()), (number, pa.int32()), (marks, pa.int32())))],
-            names=["ord", "th", "h1", "h2", "words", "number", "marks"],
-        )
-
-
-_RUNS = "ord long, th long, drop array<int>"
-
-
-def runs_on(a: np.ndarray, b: np.ndarray, words: np.ndarray, shift: int, marks: list[int], min_words: int) -> list[int]:
-    """Lines of ``a`` in maximal runs equal to ``b`` moved by ``shift`` that hold a mark and enough words.
-
-    ``a`` and ``b`` are (2, n) hash arrays; line i of a is held against line i - shift of b.
-    """
-    lo, hi = max(0, shift), min(a.shape[1], b.shape[1] + shift)
-    same = (a[:, lo:hi] == b[:, lo - shift : hi - shift]).all(axis=0)
-    gone: list[int] = []
-    for mark in sorted(set(marks)):
-        if gone and mark <= gone[-1] or not lo <= mark < hi or not same[mark - lo]:
-            continue
-        left = right = mark
-        while left > lo and same[left - 1 - lo]:
-            left -= 1
-        while right + 1 < hi and same[right + 1 - lo]:
-            right += 1
-        if words[left : right + 1].sum() >= min_words:
-            gone += range(left, right + 1)
-    return gone
-
-
-def _extend(batches: Iterator[pa.RecordBatch], min_words: int) -> Iterator[pa.RecordBatch]:
-    lists = lambda column: [x.values.to_numpy() for x in column]
-    for batch in batches:
-        cols = {c: lists(batch.column(c)) for c in ("h1", "h2", "words", "number", "g1", "g2", "at")}
-        shifts = batch.column("shift").to_pylist()
-        drop = []
-        for k, shift in enumerate(shifts):
-            a, b = np.stack([cols["h1"][k], cols["h2"][k]]), np.stack([cols["g1"][k], cols["g2"][k]])
-            drop.append(cols["number"][k][runs_on(a, b, cols["words"][k], shift, cols["at"][k].tolist(), min_words)])
-        yield pa.RecordBatch.from_arrays([batch.column("ord"), batch.column("th"), pa.array(drop, type=pa.list_(pa.int32()))], names=["ord", "th", "drop"])
+            first, h1, h2, n, _ = line_arrays(words, data[off[i] : off[j]], off[i : j + 1] - off[i])
+            a, b, mark = windows_of(h1, n, first, min_words)
+            row = np.searchsorted(first, a, side="right") - 1
+            columns = [ids[i:j][row], th[i:j][row], h1[mark], h2[mark], content(h1, a, b, _Q[0]), content(h2, a, b, _Q[1])]
+            columns += [x.astype(np.int32) for x in (mark - first[row], a - first[row], b - a)]
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["ord", "th", "k1", "k2", "w1", "w2", "pos", "at", "n"])
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
@@ -119,23 +112,24 @@ def _keyed(docs: DataFrame) -> DataFrame:
     return docs.select("*", F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("__ord"), F.xxhash64(whole_text()).alias("__th"))
 
 
+def _has_word(line: Column) -> Column:
+    return F.length(F.translate(line, " \t\n\x0b\x0c\r", "")) > 0
+
+
 def repeated_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """``ord, th, drop``: for each document with repeated runs, the numbers (from 0) of the lines to delete."""
+    """``ord, th, drop``: for each document with repeated runs, the places (from 0, among the non-blank lines) of the lines to delete."""
     slim = _keyed(docs.select("doc_id", "text")).select(F.col("__ord").alias("ord"), F.col("__th").alias("th"), whole_text().alias("text"))
-    lines = materialize(slim.mapInArrow(lambda it: _lines(it, min_words), _LINES), "lines")
-    hashes = lambda m: F.struct(F.get("h1", m).alias("k1"), F.get("h2", m).alias("k2"), m.alias("pos"))
-    marks = lines.filter(F.size("marks") > 0).select("ord", "th", F.explode(F.transform("marks", hashes)).alias("m")).select("ord", "th", "m.k1", "m.k2", "m.pos")
-    firsts = marks.groupBy("k1", "k2").agg(F.min(F.struct("ord", "th", "pos")).alias("src"), F.max(F.struct("ord", "th", "pos")).alias("top")).filter("src < top").select("k1", "k2", "src")
-    met = marks.join(firsts, ["k1", "k2"]).filter(F.col("src") < F.struct("ord", "th", "pos"))
-    matches = met.groupBy("ord", "th", F.col("src.ord").alias("sord"), F.col("src.th").alias("sth"), (F.col("pos") - F.col("src.pos")).alias("shift")).agg(F.collect_set("pos").alias("at"))
-    matches = materialize(matches, "matches")
-    arrays = lines.dropDuplicates(["ord", "th"])
-    own = arrays.select("ord", "th", "h1", "h2", "words", "number")
-    source = arrays.select(F.col("ord").alias("sord"), F.col("th").alias("sth"), F.col("h1").alias("g1"), F.col("h2").alias("g2"))
-    held = matches.join(own, ["ord", "th"]).join(source, ["sord", "sth"]).select("ord", "th", "shift", "at", "h1", "h2", "words", "number", "g1", "g2")
-    dropped = held.mapInArrow(lambda it: _extend(it, min_words), _RUNS).filter(F.size("drop") > 0)
-    out = materialize(dropped.groupBy("ord", "th").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("drop")))).alias("drop")), "runs")
-    discard(lines, matches)
+    windows = materialize(slim.mapInArrow(lambda it: _windows(it, min_words), _WINDOWS), "windows")
+    at = F.struct("ord", "th", "pos")
+    marks = windows.groupBy("k1", "k2").agg(F.min(at).alias("a"), F.max(at).alias("b")).filter("a < b").select("k1", "k2")
+    marks = materialize(marks, "marks")
+    held = materialize(windows.join(small_side(marks), ["k1", "k2"], "left_semi").select("ord", "th", "w1", "w2", "at", "n"), "held")
+    own = F.struct("ord", "th", "at")
+    firsts = held.groupBy("w1", "w2").agg(F.min(own).alias("src"), F.max(own).alias("top")).filter("src < top").select("w1", "w2", "src")
+    later = held.join(firsts, ["w1", "w2"]).filter(F.col("src") < own)
+    lines = F.sequence("at", F.col("at") + F.col("n") - 1)
+    out = materialize(later.groupBy("ord", "th").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_set(lines)))).alias("drop")), "runs")
+    discard(windows, marks, held)
     return out
 
 
@@ -155,12 +149,14 @@ def deduplicate_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     joined = _keyed(docs.select(*kept)).join(runs, (F.col("__ord") == F.col("__o")) & (F.col("__th") == F.col("__t")), "left")
     joined = joined.withColumn("__parts", F.split(whole_text(), "\n"))
     last = F.size("__parts") - 1
+    solid = F.filter(F.sequence(F.lit(0), last), lambda i: _has_word(F.get("__parts", i)))
+    joined = joined.withColumn("__solid", F.when(F.col("__drop").isNotNull(), solid))
+    joined = joined.withColumn("__drop", F.transform("__drop", lambda i: F.get("__solid", i)))
     joined = joined.withColumn("__stay", F.when(F.col("__drop").isNotNull(), F.array_except(F.sequence(F.lit(0), last), F.col("__drop"))))
     cleaned = F.array_join(F.transform("__stay", lambda i: F.get("__parts", i)), "\n")
-    blank = F.filter("__parts", lambda x: F.length(F.translate(x, " \t\n\x0b\x0c\r", "")) > 0)
     return joined.select(
         *(F.when(F.col("__stay").isNotNull(), cleaned).otherwise(F.col("text")).alias("text") if c == "text" else c for c in kept),
-        F.size(blank).cast("long").alias("n_lines"),
+        F.size(F.filter("__parts", _has_word)).cast("long").alias("n_lines"),
         F.coalesce(F.size("__drop"), F.lit(0)).cast("long").alias("n_removed_lines"),
     )
 

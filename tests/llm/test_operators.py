@@ -151,6 +151,42 @@ def test_planted_passage_goes_from_later_documents(spark):
     assert passage in out[0] and all(out[i] == f"own line {i} here\nend {i}" for i in range(1, 5))
 
 
+def by_all_earlier_places(texts):
+    """The texts without every line in a run of enough words that equals a run at any earlier place."""
+    lines = {i: [(n, tuple(WORD.findall(x))) for n, x in enumerate(t.split("\n")) if WORD.search(x)] for i, t in texts.items()}
+    out = {}
+    for i, own in sorted(lines.items()):
+        drop = set()
+        for j, other in lines.items():
+            if j > i:
+                continue
+            for shift in range(1 if i == j else 1 - len(other), len(own)):  # line p of own against line p - shift of other
+                run = []
+                for p in range(max(0, shift), min(len(own), len(other) + shift) + 1):
+                    if p < min(len(own), len(other) + shift) and own[p][1] == other[p - shift][1]:
+                        run.append(own[p])
+                        continue
+                    if sum(len(w) for _, w in run) >= line_dedup.MIN_WORDS:
+                        drop |= {n for n, _ in run}
+                    run = []
+        out[i] = ("\n".join(x for n, x in enumerate(texts[i].split("\n")) if n not in drop), len(drop))
+    return out
+
+
+def test_line_dedup_holds_each_run_against_all_earlier_places(spark):
+    said = lambda who, n: " ".join(f"{who}{k}" for k in range(n))
+    texts = {}
+    for c in range(12):  # a short line that stands alone first, then amid a run that later documents share
+        s = said(f"short{c}", 5)
+        texts |= {10 * c + 1: f"{s}\nalone {c}", **{10 * c + k: f"own {c} {k}\n{said(f'a{c}', 24)}\n\n{s}\n{said(f'b{c}', 24)}" for k in (2, 3)}}
+    head = said("head", 30)  # the tail of a run whose head came first with another tail
+    texts |= {200: f"{head}\nother tail", 201: f"{head}\nsame tail", 202: f"x\n{head}\nsame tail\ny"}
+    rng = random.Random(4)
+    texts |= {300 + k: "\n".join(rng.choice(["", " ", *(said(f"l{m}", 3 + m) for m in range(6))]) for _ in range(rng.randrange(40))) for k in range(60)}
+    out = {r["doc_id"]: (r["text"], r["n_removed_lines"]) for r in line_dedup.deduplicate_lines(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()}
+    assert out == by_all_earlier_places(texts)
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.lists(st.integers(0, 5), min_size=1, max_size=12), st.lists(st.integers(0, 5), max_size=6), st.lists(st.integers(0, 5), max_size=6))
 def test_winnowing_promise(run, before, after):
