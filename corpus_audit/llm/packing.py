@@ -2,8 +2,9 @@
 
 Texts become token pieces of at most ``CAPACITY``; only their length histogram (at most CAPACITY
 numbers) reaches the driver. There the covering program over packing patterns is solved by
-multiplicative weights, where a knapsack dynamic program prices the next pattern; the fractional
-multiplicities are rounded down and what they leave is packed best-fit. Pieces then find their
+multiplicative weights until every length is covered, where a knapsack dynamic program prices the
+next pattern; the fractional multiplicities are rounded down and what they leave, at most one of each
+pattern, is packed best-fit by counts. Pieces then find their
 place by the rank that they have among pieces of their length.
 """
 
@@ -24,8 +25,8 @@ from pyspark.sql import functions as F
 from corpus_audit.llm.common import discard, materialize, whole_text
 
 CAPACITY, END_ID = 1024, 2
-#: Patterns priced at most, and the step of the multiplicative weights.
-ROUNDS, STEP = 1000, 0.15
+#: The step of the multiplicative weights.
+STEP = 0.15
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 _encoders: dict = {}
 
@@ -114,46 +115,60 @@ def best_pattern(lengths: np.ndarray, prices: np.ndarray, capacity: int) -> dict
 
 
 def best_fit(demand: dict[int, int], capacity: int) -> Counter:
-    """Patterns of a best-fit decreasing packing of a small histogram."""
-    room: dict[int, list[list[int]]] = {}
-    open_at = np.zeros(capacity + 1, dtype=np.int64)
-    for length in sorted(demand, reverse=True):
-        for _ in range(demand[length]):
-            fits = np.flatnonzero(open_at[length:])
-            left = length + int(fits[0]) if len(fits) else capacity
-            held = room[left].pop() if len(fits) else []
-            open_at[left] -= bool(len(fits))
-            held.append(length)
-            room.setdefault(left - length, []).append(held)
-            open_at[left - length] += 1
-    return Counter(tuple(x) for bins in room.values() for x in bins)
-
-
-def fractional_patterns(lengths: np.ndarray, demand: np.ndarray, capacity: int, rounds: int, step: float) -> dict[tuple[int, ...], float]:
-    """A nearly least fractional cover of the demand by patterns, by multiplicative weights.
+    """Patterns of a best-fit decreasing packing of a histogram, by counts: equal bins are filled together."""
+    room: dict[int, Counter] = {capacity: Counter()}
+    for length in sorted((x for x, n in demand.items() if n > 0), reverse=True):
+        left = demand[length]
+        while left:
+            # The tightest bin stays the tightest while it can take another piece, so it is filled at once.
+            tight = min((r for r, held in room.items() if r >= length and (held or r == capacity)))
+            each = tight // length
+            if room[tight]:
+                held, bins = room[tight].popitem()
+            else:
+                held, bins = (), left // each + 1
+            full = min(bins, left // each)
+            if full:
+                room.setdefault(tight - each * length, Counter())[held + (length,) * each] += full
+                left -= full * each
+            if full < bins and left:
+                room.setdefault(tight - left * length, Counter())[held + (length,) * left] += 1
+                full, left = full + 1, 0
+            if held and full < bins:
+                room[tight][held] += bins - full
+    return sum(room.values(), Counter())
+
+
+def fractional_patterns(lengths: np.ndarray, demand: np.ndarray, capacity: int, rounds: int | None, step: float) -> tuple[dict[tuple[int, ...], float], np.ndarray]:
+    """A nearly least fractional cover of the demand by patterns, by multiplicative weights, and the share of each length that is covered.
 
     A length's price is its weight over its demand. Each round the pattern of the highest price is
-    used until the first of its lengths has gained a ``step``-th of its demand; weights fall
-    exponentially with the share covered. In the end all multiplicities are scaled so that every
-    length is covered.
+    used until the first of its lengths has gained a ``step``-th of its demand, or is covered; weights
+    fall exponentially with the share covered, and a covered length has no price. Each round covers
+    a ``step``-th of some length, so all are covered after len(lengths) * (1 / step + 1) rounds at most; no
+    length is planned beyond its demand. ``rounds`` ends it sooner.
     """
     log_weight = np.log(lengths / capacity * demand)
     covered = np.zeros(len(lengths))
     place = {int(x): i for i, x in enumerate(lengths)}
     used: dict[tuple[int, ...], float] = {}
-    for _ in range(rounds):
-        prices = np.exp(log_weight - covered * 3 - (log_weight - covered * 3).max()) / demand
-        pattern = best_pattern(lengths, prices, capacity)
+    turn = 0
+    while len(live := np.flatnonzero(covered < 1)) and (rounds is None or turn < rounds):
+        turn += 1
+        level = log_weight[live] - covered[live] * 3
+        pattern = best_pattern(lengths[live], np.exp(level - level.max()) / demand[live], capacity)
         at = np.asarray([place[x] for x in pattern])
         count = np.asarray(list(pattern.values()), dtype=float)
-        amount = step * (demand[at] / count).min()
+        gain = np.minimum(step, 1 - covered[at]) * demand[at] / count
+        amount = gain.min()
         covered[at] += amount * count / demand[at]
+        covered[covered > 1 - 1e-9] = 1
         key = tuple(sorted((x for x, n in pattern.items() for _ in range(n)), reverse=True))
         used[key] = used.get(key, 0.0) + amount
     return used, covered
 
 
-def plan_patterns(histogram: dict[int, int], capacity: int = CAPACITY, rounds: int = ROUNDS, step: float = STEP) -> list[tuple[tuple[int, ...], int]]:
+def plan_patterns(histogram: dict[int, int], capacity: int = CAPACITY, rounds: int | None = None, step: float = STEP) -> list[tuple[tuple[int, ...], int]]:
     """(pattern, multiplicity) pairs that hold every piece of the histogram exactly once."""
     left = {x: n for x, n in histogram.items() if n > 0}
     plan: Counter = Counter()
@@ -162,10 +177,9 @@ def plan_patterns(histogram: dict[int, int], capacity: int = CAPACITY, rounds: i
     if left:
         lengths = np.asarray(sorted(left))
         demand = np.asarray([left[int(x)] for x in lengths], dtype=float)
-        used, covered = fractional_patterns(lengths, demand, capacity, rounds, step)
-        scale = 1 / max(float(covered.max()), 1e-12)  # no length is planned beyond its demand
+        used, _ = fractional_patterns(lengths, demand, capacity, rounds, step)
         for pattern, x in sorted(used.items(), key=lambda kv: -kv[1]):
-            n = min([int(x * scale), *(left[y] // k for y, k in Counter(pattern).items())])
+            n = min([int(x + 1e-9), *(left[y] // k for y, k in Counter(pattern).items())])
             if n:
                 plan[pattern] += n
                 for y, k in Counter(pattern).items():

@@ -418,6 +418,38 @@ def test_plans_hold_each_piece_once_and_are_tight(histogram):
     assert used <= sum(packing.best_fit(histogram, 40).values()) * 1.25 + 1
 
 
+def test_patterns_place_nearly_all_pieces(monkeypatch):
+    left = {}
+    pack_rest = packing.best_fit
+    monkeypatch.setattr(packing, "best_fit", lambda demand, capacity: left.update(demand) or pack_rest(demand, capacity))
+    rng = random.Random(8)
+    histogram = {x: rng.randrange(2000, 9000) for x in range(1, 128)}
+    plan = packing.plan_patterns(histogram, 128)
+    held = collections.Counter()
+    for pattern, n in plan:
+        held.update({x: k * n for x, k in collections.Counter(pattern).items()})
+    assert held == histogram and all(sum(pattern) <= 128 for pattern, _ in plan)
+    assert sum(left.values()) < 0.02 * sum(histogram.values())
+    assert sum(n for _, n in plan) * 128 < 1.05 * sum(x * n for x, n in histogram.items())
+
+
+def test_best_fit_by_counts_is_best_fit_by_pieces():
+    rng = random.Random(9)
+    for _ in range(200):
+        demand = {rng.randrange(1, 31): rng.randrange(1, 40) for _ in range(rng.randrange(1, 12))}
+        rooms = []
+        for length in sorted(demand, reverse=True):
+            for _ in range(demand[length]):
+                fits = [r for r in rooms if r >= length]
+                if fits:
+                    rooms.remove(min(fits))
+                rooms.append(min(fits, default=30) - length)
+        found = packing.best_fit(demand, 30)
+        assert collections.Counter(rooms) == sum((collections.Counter({30 - sum(p): n}) for p, n in found.items()), collections.Counter())
+        assert sum((collections.Counter({x: k * n for x, k in collections.Counter(p).items()}) for p, n in found.items()), collections.Counter()) == demand
+    assert sum(packing.best_fit({7: 10**9}, 30).values()) == 250_000_000  # not a step for each piece
+
+
 def test_knapsack_prices():
     lengths, prices = np.array([3, 5, 7]), np.array([2.0, 3.5, 5.1])
     best = max((2 * a + 3.5 * b + 5.1 * c, (a, b, c)) for a in range(6) for b in range(4) for c in range(3) if 3 * a + 5 * b + 7 * c <= 17)
