@@ -43,17 +43,40 @@ def pairs(df: DataFrame, column: str = "text") -> DataFrame:
     return joined.select("corpus_a", "corpus_b", "n", F.round(F.col("n") / F.col("own_a"), 6).alias("ratio_a"), F.round(F.col("n") / F.col("own_b"), 6).alias("ratio_b"))
 
 
-def subsets(df: DataFrame, column: str = "text", min_size: int = 3, k: int = 10, exclusive: bool = False, max_size: int = 4) -> DataFrame:
-    """members, n: values in all corpora of a set, the k largest; inclusive counts, so a set counts its supersets' values.
+def subsets(df: DataFrame, column: str = "text", min_size: int = 3, k: int = 10, exclusive: bool = False) -> DataFrame:
+    """members, n: values in all corpora of a set of any size, the k largest; inclusive counts, so a set counts its supersets' values.
 
-    Only masks are combined: a mask of w corpora gives its subsets of ``min_size`` to ``max_size`` corpora, a number
-    that is polynomial in w. With ``exclusive`` each value counts for its full set of corpora alone, of any size.
+    Only masks are combined. All sets of ``min_size`` corpora are counted, a number that is polynomial
+    in a mask's width, and the k first of them are grown by later corpora. A grown set counts no more and
+    its name sorts behind, so only sets among the k first known need be grown, at most k times.
+    With ``exclusive`` each value counts for its full set of corpora alone.
     """
-    sets = _members(masks(df, column), numbered(df)).filter(F.size("members") >= min_size)
-    if not exclusive:
-        grow = F.aggregate("members", F.array(F.array().cast("array<string>")), lambda acc, c: F.concat(acc, F.transform(F.filter(acc, lambda s: F.size(s) < max_size), lambda s: F.concat(s, F.array(c)))))
-        sets = sets.select("n", F.explode(F.filter(grow, lambda s: F.size(s) >= min_size)).alias("members"))
-    return sets.groupBy(F.array_join("members", "+").alias("members")).agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "members").limit(k)
+    bits = numbered(df)
+    counted = masks(df, column).persist()
+    sets = _members(counted, bits).filter(F.size("members") >= min_size)
+    order = [F.desc("n"), "members"]
+    if exclusive:
+        counted.unpersist()
+        return sets.groupBy(F.array_join("members", "+").alias("members")).agg(F.sum("n").alias("n")).orderBy(*order).limit(k)
+    grow = F.aggregate("members", F.array(F.array().cast("array<string>")), lambda acc, c: F.concat(acc, F.transform(F.filter(acc, lambda s: F.size(s) < min_size), lambda s: F.concat(s, F.array(c)))))
+    least = sets.select("n", F.explode(F.filter(grow, lambda s: F.size(s) == min_size)).alias("set")).groupBy("set").agg(F.sum("n").alias("n"))
+    names = {r["bit"]: r["corpus"] for r in bits.collect()}
+    bit_of = {name: bit for bit, name in names.items()}
+    # (-n, name, mask, last corpus), in the order of the answer
+    first = least.withColumn("members", F.array_join("set", "+")).orderBy(*order).limit(k).collect()
+    known = sorted((-r["n"], r["members"], sum(1 << bit_of[c] for c in r["set"]), bit_of[r["set"][-1]]) for r in first)
+    grown: set[int] = set()
+    while new := [x for x in known if x[2] not in grown]:
+        grown |= {x[2] for x in new}
+        name_of = {mask: name for _, name, mask, _ in new}
+        nodes = df.sparkSession.createDataFrame([(mask, last) for _, _, mask, last in new], "held long, last int")
+        later = F.explode(F.sequence(F.col("last") + 1, F.lit(len(names)))).alias("bit")
+        met = counted.join(F.broadcast(nodes.select("held", later)), F.expr("(mask & held) = held AND (mask & shiftleft(1L, bit)) <> 0"))
+        for r in met.groupBy("held", "bit").agg(F.sum("n").alias("n")).collect():  # at most k nodes by the number of corpora
+            known.append((-r["n"], f"{name_of[r['held']]}+{names[r['bit']]}", r["held"] | 1 << r["bit"], r["bit"]))
+        known = sorted(known)[:k]
+    counted.unpersist()
+    return df.sparkSession.createDataFrame([(name, -n) for n, name, _, _ in known], "members string, n long").orderBy(*order)
 
 
 def containment(overlaps: DataFrame) -> DataFrame:

@@ -1,6 +1,9 @@
 """Worked examples of the analyses."""
 
+import collections
+import itertools
 import math
+import random
 
 import pytest
 from pyspark.sql import functions as F
@@ -90,6 +93,17 @@ def three(spark):
     return spark.createDataFrame([(i, c, t) for i, (c, t) in enumerate(rows)], "doc_id long, corpus string, text string")
 
 
+def test_overlap_sets_have_no_upper_size(spark):
+    rng = random.Random(3)
+    held = [rng.sample([f"c{i}" for i in range(12)], rng.randrange(1, 9)) for _ in range(40)] + [[f"c{i}" for i in range(7)]] * 30
+    docs = spark.createDataFrame([(i, c, f"text {i}") for i, own in enumerate(held) for c in own], "doc_id long, corpus string, text string")
+    counts = collections.Counter("+".join(s) for own in held for k in range(3, len(own) + 1) for s in itertools.combinations(sorted(own), k))
+    for k in (10, 100):
+        want = sorted(counts.items(), key=lambda x: (-x[1], x[0]))[:k]
+        assert [(r["members"], r["n"]) for r in overlap.subsets(docs, k=k).collect()] == want
+    assert any(name.count("+") >= 4 for name, _ in want)
+
+
 def test_overlap_is_inclusive(spark):
     got = {(r["corpus_a"], r["corpus_b"]): (r["n"], r["ratio_a"], r["ratio_b"]) for r in overlap.pairs(three(spark)).collect()}
     assert got == {("A", "B"): (2, round(2 / 3, 6), 1.0), ("A", "C"): (1, round(1 / 3, 6), 1.0), ("B", "C"): (1, 0.5, 1.0)}
