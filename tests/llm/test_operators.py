@@ -379,7 +379,6 @@ def test_pieces_are_the_tokenizers(spark, sf, texts):
     from tokenizers import Tokenizer
 
     reference = Tokenizer.from_file(packing.default_vocabulary())
-    reference.encode_special_tokens = True
     rows = collections.defaultdict(list)
     places = collections.defaultdict(list)
     for r in packing.op10_pack(spark, sf).collect():
@@ -395,13 +394,20 @@ def test_pieces_are_the_tokenizers(spark, sf, texts):
         assert [o for o, _ in sorted(own)] == ends[:-1].tolist() and ends[-1] <= 1024
 
 
-@pytest.mark.parametrize("text", ["", " ", "\n\n  x", "don't  stop", "<|endoftext|> a", "漢字 Ünï \U0001f600 123 $$$", "a\x00b", "x" * 5000])
+@pytest.mark.parametrize("text", [
+    "", " ", "\n\n  x", "don't  stop", "<|endoftext|> a", "a <|endoftext|> b", "<|endoftext|><|endoftext|>", "漢字 Ünï \U0001f600 123 $$$", "a\x00b", "x" * 5000,
+    " " * 3000 + "x", "\n" * 2500, "a" + " \n" * 1500 + "b", " " * 1500 + "\x1cq", "x" + "\u3000" * 1200 + "  y", "z" * 5000 + "\t" * 1001 + "'s", "a" + " " * 2000 + "<|endoftext|>c",
+])
 def test_encoder_equals_the_library(text):
     from tokenizers import Tokenizer
 
     reference = Tokenizer.from_file(packing.default_vocabulary())
-    reference.encode_special_tokens = True
-    assert packing.encoder(packing.default_vocabulary()).encode_ordinary(text) == reference.encode(text, add_special_tokens=False).ids
+    assert packing.encoder(packing.default_vocabulary()).ids(text) == reference.encode(text, add_special_tokens=False).ids
+
+
+@pytest.mark.parametrize("text", [" " * 5_000_000, "\n" * 5_000_000 + "x", "b" * 5_000_000])
+def test_encoder_takes_very_long_runs(text):
+    assert len(packing.encoder(packing.default_vocabulary()).ids(text)) >= len(text) // 8
 
 
 @settings(max_examples=25, deadline=None)
@@ -433,6 +439,24 @@ def test_patterns_place_nearly_all_pieces(monkeypatch):
     assert sum(n for _, n in plan) * 128 < 1.05 * sum(x * n for x, n in histogram.items())
 
 
+@pytest.mark.parametrize("pieces", [10_000, 10**8])
+def test_the_program_places_the_pieces_whatever_their_number(pieces):
+    rng = random.Random(pieces)
+    histogram = {x: 1 + int(2 * pieces / 1023 * rng.random()) for x in range(1, 1024)}
+    plan, left, bound = packing.program(histogram)
+    assert sum(left.values()) < 0.1 * sum(histogram.values())
+    assert sum(plan.values()) + sum(packing.best_fit(dict(left), 1024).values()) < 1.01 * bound
+
+
+@settings(max_examples=30, deadline=None)
+@given(st.dictionaries(st.integers(1, 12), st.integers(1, 6), min_size=1, max_size=6))
+def test_dual_values_bound_every_pattern(histogram):
+    demand = np.array([histogram.get(x, 0) for x in range(13)], dtype=float)
+    value, bound = packing.dual_values(demand)
+    best, _ = packing.knapsack(np.concatenate([[-np.inf], value[1:]]))
+    assert best[12] <= 1 + 1e-9 and bound <= sum(packing.best_fit(histogram, 12).values()) + 1e-9
+
+
 def test_best_fit_by_counts_is_best_fit_by_pieces():
     rng = random.Random(9)
     for _ in range(200):
