@@ -270,8 +270,9 @@ def test_shared_blocks_are_a_longest_common_subsequence(a, b):
         for j, y in enumerate(b):
             best[i + 1][j + 1] = best[i][j] + 1 if x == y else max(best[i][j + 1], best[i + 1][j])
     found = extraction.shared_blocks(a, b)
-    rest = iter(b)
-    assert len(found) == best[-1][-1] and all(a[i] in rest for i in found)
+    for positions in (found, extraction.shared_blocks(a, b, room=1)):
+        rest = iter(b)
+        assert len(positions) == best[-1][-1] and all(a[i] in rest for i in positions)
 
 
 def test_pages(spark, sf):
@@ -289,7 +290,7 @@ def test_pages(spark, sf):
     ("plain &amp; simple", "plain & simple"), ("", ""),
 ])
 def test_blocks(page, want):
-    assert "\n".join(t for t, _, _ in extraction.blocks(page)) == want
+    assert "\n".join(t for t, zone, _ in extraction.blocks(page) if zone != extraction.NEVER) == want
 
 
 def test_template_lines_go_without_semantic_tags(spark):
@@ -298,6 +299,70 @@ def test_template_lines_go_without_semantic_tags(spark):
     assert {r["page_id"]: r["text"] for r in out} == {i: f"Own {i}" for i in range(30)}
 
 
+def test_no_article_is_lost_without_its_element(spark):
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
+    plain = pages.withColumn("html", F.regexp_replace("html", "<(/?)article>", "<$1div>"))
+    want = {r["page_id"]: r for r in extraction.extract(pages).collect()}
+    assert sum(r["n_template"] for r in want.values()) > 0
+    for r in extraction.extract(plain).collect():
+        assert r["text"] == want[r["page_id"]]["text"], r["page_id"]
+
+
+def test_repeated_pages_and_copies_keep_their_text(spark):
+    said = lambda who, n: " ".join(f"{who}{k}" for k in range(n))
+    menu = "<div class=top>Home</div><div class=top>News</div>"
+    rows = [(i, f"http://a.org/x/{p}", f"{menu}<p>{said(t, 30)}</p><p>{said(t + 'b', 30)}</p><div>Tail</div>") for i, (p, t) in enumerate([("a", "one"), ("a", "one"), ("a?page=2", "one"), ("b", "two"), ("c", "two"), ("d", "three")])]
+    rows += [(9, "http://b.org/x", rows[0][2]), (10, "http://b.org/x", rows[0][2]), (11, "http://c.org/1", f"<p>{said('one', 30)}</p><p>{said('new', 30)}</p>"), (12, "http://c.org/2", f"<p>{said('one', 30)}</p><p>{said('new', 29)} other</p>")]
+    out = {r["page_id"]: r for r in extraction.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    for i, t in enumerate(["one", "one", "one", "two", "two", "three"]):
+        assert out[i]["text"] == f"{said(t, 30)}\n{said(t + 'b', 30)}" and out[i]["n_template"] == 3
+    assert out[9]["text"] == out[10]["text"] == f"Home\nNews\n{said('one', 30)}\n{said('oneb', 30)}\nTail" and out[9]["n_template"] == 0
+    assert out[11]["n_chars"] > 200
+
+
+def test_differencing_equals_brute_force_over_all_pages(spark):
+    rng = random.Random(6)
+    rows = []
+    for i in range(150):
+        host, path = rng.choice(["a.com", "b.com"]), "/".join(rng.choice("xyz") for _ in range(3))
+        parts = [f"<div>Site {host}</div>", *(f"<li>{rng.choice('abcdef')}</li>" for _ in range(4)), f"<p>{' '.join(rng.choice(['w', 'v', 'u']) + str(rng.randrange(40)) for _ in range(25))}</p>", "<footer>Imprint</footer>"]
+        rows.append((i, f"http://{host}/{path}/{i % 7}", "".join(parts)))
+    rows += [(200 + i, rows[i][1] + "/copy", rows[i][2]) for i in range(20)]
+    distinct = {}
+    for _, url, page in rows:
+        host, path = re.match("http://([^/]+)(.*)", url).groups()
+        hashes = [extraction._block_hash(t, p) for t, _, p in extraction.blocks(page)]
+        prose = {extraction._block_hash(t, 0) for t, z, _ in extraction.blocks(page) if z != extraction.NEVER and t.count(" ") >= 19}
+        whole = __import__("hashlib").blake2b(np.asarray(hashes, dtype=np.int64).tobytes(), digest_size=16).digest()
+        never = {k for k, (_, z, _) in enumerate(extraction.blocks(page)) if z == extraction.NEVER}
+        distinct[(host, whole)] = (min(path, distinct.get((host, whole), (path,))[0]), hashes, prose, never)
+    order = sorted((host, path, whole, hashes, prose, never) for (host, whole), (path, hashes, prose, never) in distinct.items())
+    pages = [extraction._Page(host, path, whole, hashes, prose, never, k, True) for k, (host, path, whole, hashes, prose, never) in enumerate(order)]
+    gone = {}
+    for p in pages:
+        near = [q for q in pages if 0 < abs(q.rank - p.rank) <= extraction.NEAR and q.host == p.host and 2 * len(p.prose & q.prose) < max(1, min(len(p.prose), len(q.prose)))]
+        prefix = lambda q: len(os.path.commonprefix([q.path, p.path]))  # noqa: B023, E731
+        best = sorted(near, key=lambda q: (-prefix(q), abs(q.rank - p.rank), q.rank))[:1]
+        shared = extraction.shared_blocks(p.blocks, best[0].blocks) if best else []
+        gone[(p.host, p.whole)] = [k for k in shared if k in p.never or 2 * sum(p.blocks[k] in q.blocks for q in near) > len(near)]
+    assert any(gone.values())
+    out = {r["page_id"]: r["text"] for r in extraction.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    for i, url, page in rows:
+        found = extraction.blocks(page)
+        whole = __import__("hashlib").blake2b(np.asarray([extraction._block_hash(t, p) for t, _, p in found], dtype=np.int64).tobytes(), digest_size=16).digest()
+        drop = set(gone[(url.split("/")[2], whole)])
+        assert out[i] == "\n".join(t for k, (t, z, _) in enumerate(found) if z != extraction.NEVER and k not in drop)
+
+
+@pytest.mark.parametrize("page", ['<a "' * 200_000, "<a " * 300_000, "<div>" * 8_000 + "</span>" * 8_000, "<div>x" * 400_000, ('<a x=">" ') * 100_000, "<p><table><td>" + "<div>" * 200_000])
+def test_odd_pages_take_one_pass(page):
+    import time
+
+    began = time.process_time()
+    extraction.blocks(page)
+    assert time.process_time() - began < 20
+
+
 # --- models -----------------------------------------------------------------------------------------
 def test_language_on_held_out(spark):
     df = language.op6_language(spark, "/root/testdata/sf0.01")
