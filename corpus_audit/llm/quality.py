@@ -1,8 +1,10 @@
 """Host-level quality rules, all in DataFrame expressions.
 
-Each document is held against fixed rules. A host's failure rate is shrunk by a beta prior whose
-two parameters are fitted to the hosts' rates by the method of moments, and a host whose shrunk
-rate reaches ``HOST_LIMIT`` takes all its documents with it.
+Each document is held against fixed rules. A host's failure rate is shrunk by a beta prior that is
+fitted to all hosts by the method of moments, with the binomial noise of their counts taken off. A
+host falls, with all its documents, if its posterior lies above the limit for sure: its mean less ``SURE``
+standard deviations. The limit is a multiple of the mean rate of all documents and ``HOST_LIMIT`` at least, so a
+few bad documents do not condemn a small host, nor a corpus that fails often all its hosts.
 """
 
 from __future__ import annotations
@@ -15,9 +17,11 @@ from corpus_audit.llm.common import materialize, small_side, whole_text
 MIN_WORDS, MAX_REPEAT_PERCENT, WINDOW = 20, 30, 8
 #: Further document rules; they count toward the host's rate alone.
 MAX_SYMBOL_PERCENT, MAX_DUP_LINE_PERCENT = 10, 50
-#: A host is rejected when its shrunk failure rate is at least this.
-HOST_LIMIT = 0.5
-#: Prior strength where hosts are too few or too alike to fit one, and the range it is held to.
+#: The limit of a host's failure rate: HOST_LIMIT, or HOST_MULTIPLE times the rate of all documents up to MAX_HOST_LIMIT.
+HOST_LIMIT, HOST_MULTIPLE, MAX_HOST_LIMIT = 0.35, 2.0, 0.9
+#: Standard deviations by which a host's posterior mean must lie above the limit.
+SURE = 1.645
+#: Prior strength where hosts are too few to fit one, and the range it is held to.
 PRIOR_STRENGTH, MIN_STRENGTH, MAX_STRENGTH = 10.0, 2.0, 1000.0
 SPACES, SYMBOLS = " \t\n\x0b\x0c\r", "#*$%&|<>"
 
@@ -75,19 +79,28 @@ def rule_failed() -> Column:
 
 
 def host_verdicts(measured: DataFrame, host: str = "source") -> DataFrame:
-    """``host_key, host_docs, host_failed, host_rate, host_kept``, one row per host (null is a host of its own).
+    """``host_key, host_docs, host_failed, host_rate, host_limit, host_kept``, one row per host (null is a host of its own).
 
-    With mean m and variance v of the host rates the prior's strength is m(1-m)/v - 1, held to
-    [MIN_STRENGTH, MAX_STRENGTH]; one host alone, or no variance, takes PRIOR_STRENGTH.
+    With n and f the documents and failures of a host, m their mean rate and S = sum n (f/n - m)^2, the spread of hosts
+    beyond binomial noise is rho = (S / (m (1 - m)) - (k - 1)) / (N - sum n^2 / N - (k - 1)) for k hosts and N documents, and the
+    prior's strength 1 / rho - 1, held to [MIN_STRENGTH, MAX_STRENGTH]; no spread gives the strongest. Where m is 0
+    or 1, or there are too few hosts, it is PRIOR_STRENGTH.
     """
     hosts = measured.groupBy(F.col(host).alias("host_key")).agg(F.count("*").alias("host_docs"), F.sum(rule_failed().cast("long")).alias("host_failed"))
-    rate = F.col("host_failed") / F.col("host_docs")
-    prior = hosts.agg(F.avg(rate).alias("m"), F.var_pop(rate).alias("v"))
-    fitted = F.when(F.col("v") > 1e-9, F.least(F.lit(MAX_STRENGTH), F.greatest(F.lit(MIN_STRENGTH), F.try_divide(F.col("m") * (1 - F.col("m")), F.col("v")) - 1))).otherwise(F.lit(PRIOR_STRENGTH))
-    prior = prior.select("m", fitted.alias("strength"))
+    n, f = F.col("host_docs").cast("double"), F.col("host_failed").cast("double")
+    sums = hosts.agg(F.count("*").alias("k"), F.sum(n).alias("n"), F.sum(f).alias("f"), F.sum(n * n).alias("nn"), F.sum(f * f / n).alias("ff"))
+    m = F.col("f") / F.col("n")
+    noise = m * (1 - m)
+    free = F.col("n") - F.col("nn") / F.col("n") - (F.col("k") - 1)
+    rho = ((F.col("ff") - m * F.col("f")) / noise - (F.col("k") - 1)) / free
+    held = F.when(rho > 0, F.least(F.lit(MAX_STRENGTH), F.greatest(F.lit(MIN_STRENGTH), 1 / F.when(rho > 0, rho) - 1))).otherwise(F.lit(MAX_STRENGTH))
+    strength = F.when((noise > 0) & (free > 0), held).otherwise(F.lit(PRIOR_STRENGTH))
+    limit = F.greatest(F.lit(HOST_LIMIT), F.least(F.lit(MAX_HOST_LIMIT), F.lit(HOST_MULTIPLE) * m))
+    prior = sums.filter("k > 0").select(m.alias("m"), strength.alias("strength"), F.round(limit, 6).alias("host_limit"))
     shrunk = (F.col("host_failed") + F.col("m") * F.col("strength")) / (F.col("host_docs") + F.col("strength"))
     # The prior is one row, an aggregate without keys.
-    return hosts.join(F.broadcast(prior)).select("host_key", "host_docs", "host_failed", F.round(shrunk, 6).alias("host_rate"), (F.round(shrunk, 6) < HOST_LIMIT).alias("host_kept"))
+    rated = hosts.join(F.broadcast(prior)).withColumn("rate", shrunk).withColumn("low", F.col("rate") - SURE * F.sqrt(F.greatest(F.lit(0.0), F.col("rate") * (1 - F.col("rate"))) / (F.col("host_docs") + F.col("strength") + 1)))
+    return rated.select("host_key", "host_docs", "host_failed", F.round("rate", 6).alias("host_rate"), "host_limit", (F.round("low", 6) <= F.col("host_limit")).alias("host_kept"))
 
 
 def judged(measured: DataFrame, host: str = "source") -> DataFrame:
@@ -98,9 +111,16 @@ def judged(measured: DataFrame, host: str = "source") -> DataFrame:
 
 
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Measures, base rules and verdict of every document, with its host's counts.
+
+    Null and empty texts have no words and fail; texts of any length are read whole; repeated rows are judged and
+    counted as often as they come; a null source is a host of its own; an empty table gives an empty
+    result; columns other than doc_id, source and text are not read. Rates and limits are rounded before they are
+    compared, and a host on the limit stays.
+    """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     base = materialize(measures(docs, ["doc_id", "source"]), "quality")
-    return judged(base).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", F.col("source").alias("host"), "host_docs", "host_failed", "host_rate", "host_kept")
+    return judged(base).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", F.col("source").alias("host"), "host_docs", "host_failed", "host_rate", "host_limit", "host_kept")
 
 
 OP7_SQL = rf"""
@@ -126,12 +146,17 @@ m AS (
 b AS (SELECT *, (n_words < {MIN_WORDS} OR 100 * n_repeat_words > {MAX_REPEAT_PERCENT} * n_words) AS base_failed FROM m),
 f AS (SELECT *, (base_failed OR 100 * n_symbols > {MAX_SYMBOL_PERCENT} * word_chars OR 100 * n_dup_lines > {MAX_DUP_LINE_PERCENT} * n_lines) AS failed FROM b),
 h AS (SELECT source, count(*) AS host_docs, CAST(sum(CAST(failed AS BIGINT)) AS BIGINT) AS host_failed FROM f GROUP BY source),
+a AS (
+  SELECT count(*) AS k, sum(CAST(host_docs AS DOUBLE)) AS n, sum(CAST(host_failed AS DOUBLE)) AS fails,
+         sum(CAST(host_docs AS DOUBLE) * host_docs) AS nn, sum(CAST(host_failed AS DOUBLE) * host_failed / host_docs) AS ff FROM h),
+q AS (SELECT fails / n AS m, CASE WHEN fails > 0 AND fails < n AND n - nn / n - (k - 1) > 0 THEN ((ff - fails * fails / n) / (fails / n * (1 - fails / n)) - (k - 1)) / (n - nn / n - (k - 1)) END AS rho FROM a),
 p AS (
-  SELECT m, CASE WHEN v > 1e-9 THEN least({MAX_STRENGTH}, greatest({MIN_STRENGTH}, m * (1 - m) / v - 1)) ELSE {PRIOR_STRENGTH} END AS s
-  FROM (SELECT avg(host_failed / host_docs) AS m, var_pop(host_failed / host_docs) AS v FROM h)),
-v AS (SELECT source, host_docs, host_failed, round((host_failed + m * s) / (host_docs + s), 6) AS host_rate FROM h, p)
+  SELECT m, CASE WHEN rho IS NULL THEN {PRIOR_STRENGTH} WHEN rho > 0 THEN least({MAX_STRENGTH}, greatest({MIN_STRENGTH}, 1 / rho - 1)) ELSE {MAX_STRENGTH} END AS s,
+         round(greatest({HOST_LIMIT}, least({MAX_HOST_LIMIT}, {HOST_MULTIPLE} * m)), 6) AS host_limit FROM q),
+u AS (SELECT source, host_docs, host_failed, host_limit, s, (host_failed + m * s) / (host_docs + s) AS rate FROM h, p),
+v AS (SELECT *, round(rate, 6) AS host_rate, round(rate - {SURE} * sqrt(greatest(0.0, rate * (1 - rate)) / (host_docs + s + 1)), 6) <= host_limit AS host_kept FROM u)
 SELECT f.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-       (NOT base_failed AND host_rate < {HOST_LIMIT}) AS kept, f.source AS host, host_docs, host_failed, host_rate, host_rate < {HOST_LIMIT} AS host_kept
+       (NOT base_failed AND host_kept) AS kept, f.source AS host, host_docs, host_failed, host_rate, host_limit, host_kept
 FROM f JOIN v ON f.source IS NOT DISTINCT FROM v.source
 """
 

@@ -261,6 +261,27 @@ def test_host_rates_are_shrunk(spark):
     assert not out["h0"]["host_kept"] and out["h1"]["host_kept"] and 0 < out["h1"]["host_rate"] < 0.1 and out["tiny"]["host_rate"] < 1
 
 
+def test_bad_hosts_fall_and_small_or_ordinary_ones_stay(spark):
+    rng = random.Random(3)
+    hosts = {f"good{i}": (rng.randrange(20, 400), 0.1) for i in range(40)} | {"bad_large": (5000, 0.8), "bad_small": (60, 0.9), "few": (3, 1.0), "worse": (300, 0.25)}
+    rows = [(h, k < round(n * share)) for h, (n, share) in hosts.items() for k in range(n)]
+    lines = spark.createDataFrame(rows, "source string, base_failed boolean").withColumns({"n_symbols": F.lit(0), "word_chars": F.lit(100), "n_dup_lines": F.lit(0), "n_lines": F.lit(1)})
+    few_bad = {r["host_key"]: r for r in quality.host_verdicts(lines.filter("source <> 'bad_large'")).collect()}
+    assert [h for h, r in few_bad.items() if not r["host_kept"]] == ["bad_small"]
+    assert few_bad["few"]["host_rate"] < 0.7 and 0.1 < few_bad["worse"]["host_rate"] < 0.25
+    all_bad = {r["host_key"]: r for r in quality.host_verdicts(lines).collect()}  # the limit rises with the mean
+    assert {h for h, r in all_bad.items() if not r["host_kept"]} == {"bad_large", "bad_small"}
+    assert all_bad["bad_large"]["host_limit"] > few_bad["few"]["host_limit"]
+
+
+def test_prior_takes_binomial_noise_off(spark):
+    rng = np.random.default_rng(2)
+    rows = [(f"h{i}", bool(x)) for i in range(300) for x in rng.random(20) < 0.2]  # all hosts alike: what differs is noise
+    df = spark.createDataFrame(rows, "source string, base_failed boolean").withColumns({"n_symbols": F.lit(0), "word_chars": F.lit(100), "n_dup_lines": F.lit(0), "n_lines": F.lit(1)})
+    rates = [r["host_rate"] for r in quality.host_verdicts(df).collect()]
+    assert max(rates) - min(rates) < 0.1
+
+
 # --- extraction ------------------------------------------------------------------------------------
 @settings(max_examples=200, deadline=None)
 @given(st.lists(st.integers(0, 3), max_size=9), st.lists(st.integers(0, 3), max_size=9))
