@@ -1,9 +1,10 @@
 """Evaluation items whose fields all occur in one document.
 
 Both routes agree with a search of every field in every text. The index route looks up one
-shingle of three inner tokens per field (inner ones are cut alike inside and outside the field) and
-verifies the few candidates; fields too short for one go by the scan route, which passes an
-automaton of their strings over the texts once.
+shingle of three tokens per field and verifies the few candidates. The shingle is taken from between the field's first and
+last white space: there tokens are cut alike inside and outside the field, while a word at either end may go on
+in the text. Fields too short for one go by the scan route, which passes automata of their strings over
+the texts, a bounded number of fields each.
 """
 
 from __future__ import annotations
@@ -19,8 +20,10 @@ from corpus_audit.text.tokenize import tokens
 
 SENTENCE = r"[^.!?]+[.!?]*"
 ANCHOR = 3
-#: Fields that one automaton holds at most.
-MAX_FIELDS = 200_000
+#: Fields that one automaton holds, about.
+MAX_FIELDS = 100_000
+#: What lies between the first and the last white space of a field.
+INNER = r"(?s)[\s\p{Z}\x0B](.*)[\s\p{Z}\x0B]"
 
 
 def items_from_text(table: DataFrame, item: str = "item_id", text: str = "text") -> DataFrame:
@@ -39,10 +42,16 @@ def _fields(items: DataFrame) -> DataFrame:
 
 
 def hits_by_scan(docs: DataFrame, fields: DataFrame) -> DataFrame:
-    """doc_id, item_id, field by one pass of an Aho-Corasick automaton over each text."""
-    rows = [(r["item_id"], r["field"], r["value"]) for r in fields.limit(MAX_FIELDS + 1).collect()]
-    if len(rows) > MAX_FIELDS:
-        raise ValueError(f"more than {MAX_FIELDS} fields: use the index route or split the items")
+    """doc_id, item_id, field by one pass of an Aho-Corasick automaton over each text; more than MAX_FIELDS fields are dealt to several by their hash."""
+    blocks = -(-fields.count() // MAX_FIELDS)
+    out = _scan(docs, fields if blocks <= 1 else fields.filter(F.pmod(F.xxhash64("item_id", "field"), F.lit(blocks)) == 0))
+    for k in range(1, blocks):
+        out = out.union(_scan(docs, fields.filter(F.pmod(F.xxhash64("item_id", "field"), F.lit(blocks)) == k)))
+    return out
+
+
+def _scan(docs: DataFrame, fields: DataFrame) -> DataFrame:
+    rows = [(r["item_id"], r["field"], r["value"]) for r in fields.select("item_id", "field", "value").collect()]
 
     def scan(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         import ahocorasick
@@ -64,15 +73,14 @@ def hits_by_scan(docs: DataFrame, fields: DataFrame) -> DataFrame:
 
 def hits_by_index(docs: DataFrame, fields: DataFrame) -> DataFrame:
     """doc_id, item_id, field by anchor shingles, then by the field's string in the text."""
-    cut = fields.withColumn("tokens", tokens("value"))
-    least = ANCHOR + 2
-    anchored = cut.filter(F.size("tokens") >= least)
-    middle = F.floor((F.size("tokens") - ANCHOR) / 2).cast("int") + 1
-    anchors = anchored.select("item_id", "field", "value", F.xxhash64(F.slice("tokens", middle, F.lit(ANCHOR))).alias("anchor"))
+    cut = fields.withColumn("inner", tokens(F.regexp_extract("value", INNER, 1)))
+    anchored = cut.filter(F.size("inner") >= ANCHOR)
+    middle = F.floor((F.size("inner") - ANCHOR) / 2).cast("int") + 1
+    anchors = anchored.select("item_id", "field", "value", F.xxhash64(F.slice("inner", middle, F.lit(ANCHOR))).alias("anchor"))
     shingled = docs.select("doc_id", tokens("text").alias("tokens")).select("doc_id", F.explode(F.array_distinct(F.transform(windows("tokens", ANCHOR), lambda w: F.xxhash64(w)))).alias("anchor"))
     met = shingled.join(anchors, "anchor").select("doc_id", "item_id", "field", "value")
     verified = met.join(docs.select("doc_id", "text"), "doc_id").filter(F.contains("text", "value")).select("doc_id", "item_id", "field")
-    short = cut.filter(F.size("tokens") < least).select("item_id", "field", "value")
+    short = cut.filter(F.size("inner") < ANCHOR).select("item_id", "field", "value")
     return verified.union(hits_by_scan(docs, short)).distinct()
 
 

@@ -44,3 +44,10 @@ def cross_key(df: DataFrame, a: str, b: str, k: int = 25) -> DataFrame:
     """key, n, n_other: of the k values of ``a`` with most copies, the distinct values of ``b`` among the copies."""
     best = df.filter(F.col(a).isNotNull()).groupBy(F.col(a).alias("key")).agg(F.count("*").alias("n")).filter("n > 1").orderBy(F.desc("n"), "key").limit(k)
     return df.join(F.broadcast(best), df[a] == best["key"]).groupBy("key", "n").agg(F.countDistinct(b).alias("n_other"))
+
+
+def key_bytes(df: DataFrame, col: str = "text") -> DataFrame:
+    """corpus, string_bytes, digest_bytes, ratio: what the distinct keys weigh as strings and as 16-byte digests; only digests are shuffled."""
+    slim = df.filter(F.col(col).isNotNull()).select("corpus", F.md5(F.col(col).cast("binary")).alias("digest"), F.octet_length(col).alias("b"))
+    one = slim.groupBy("corpus", "digest").agg(F.first("b").alias("b"))
+    return one.groupBy("corpus").agg(F.sum("b").alias("string_bytes"), (16 * F.count("*")).alias("digest_bytes"), F.round(F.sum("b") / (16 * F.count("*")), 6).alias("ratio"))

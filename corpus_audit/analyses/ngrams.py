@@ -2,16 +2,22 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from corpus_audit.counting.exact import bottom, tally, top
-from corpus_audit.counting.hashed import HashSpec, cell_counts, cold_cells, hot_cells
+from corpus_audit.counting.hashed import HashSpec, cell_counts, hot_cells
 from corpus_audit.text.ngrams import grams, window_rows
 
-#: Cells up to which a list of cells is broadcast.
+#: Cells up to which a list of cells is broadcast; they are counted before the hint is given.
 BROADCAST_CELLS = 1_000_000
+#: Candidates that each task of the sweep keeps, as a multiple of k.
+SWEEP_KEEP = 8
 
 
 def top_exact(df: DataFrame, n: int, k: int) -> DataFrame:
@@ -40,10 +46,11 @@ def gram_cells(df: DataFrame, n: int, spec: HashSpec, by: list[str] | None = Non
     return cell_counts(window_rows(df, n, keep=by), _cell(spec), spec, by)
 
 
-def candidates(df: DataFrame, n: int, cells: DataFrame, spec: HashSpec, few: bool = True) -> DataFrame:
+def candidates(df: DataFrame, n: int, cells: DataFrame, spec: HashSpec, few: bool) -> DataFrame:
     """gram, est_cnt, cnt of the n-grams whose cell is among ``cells`` (est_cnt is the cell's count).
 
-    With the fast hash, strings are built only of windows whose cell is listed.
+    With the fast hash, strings are built only of windows whose cell is listed. ``few`` cells are broadcast; others
+    meet the windows in a join on the cell.
     """
     chosen = cells.select("cell", F.col("cnt").alias("est_cnt"))
     chosen = F.broadcast(chosen) if few else chosen
@@ -55,40 +62,87 @@ def candidates(df: DataFrame, n: int, cells: DataFrame, spec: HashSpec, few: boo
     return met.groupBy("gram").agg(F.max("est_cnt").alias("est_cnt"), F.count("*").alias("cnt"))
 
 
+def _settled(df: DataFrame) -> DataFrame:
+    """An answer of k rows, worked out now, so that the cells it came from can be given up."""
+    return df.sparkSession.createDataFrame(df.collect(), df.schema)
+
+
+def _by_cells(df: DataFrame, n: int, k: int, spec: HashSpec, hot: bool) -> DataFrame:
+    """The k n-grams with the largest (smallest) cell counts, ties by the n-gram.
+
+    Many cells may tie at the bound, so they are counted before they are broadcast.
+    """
+    cells = gram_cells(df, n, spec).persist()
+    order = F.desc("cnt") if hot else F.asc("cnt")
+    bound = cells.orderBy(order).limit(k).agg((F.min if hot else F.max)("cnt")).first()[0]
+    chosen = cells.filter((F.col("cnt") >= bound) if hot else (F.col("cnt") <= bound)) if bound is not None else cells
+    found = candidates(df, n, chosen, spec, chosen.count() <= BROADCAST_CELLS)
+    answer = _settled(found.select("gram", "est_cnt").orderBy(F.desc("est_cnt") if hot else F.asc("est_cnt"), "gram").limit(k))
+    cells.unpersist()
+    return answer
+
+
 def top_hashed(df: DataFrame, n: int, k: int, spec: HashSpec) -> DataFrame:
     """gram, est_cnt: the k n-grams with the largest cell counts (upper bounds; false positives are possible)."""
-    hot = hot_cells(gram_cells(df, n, spec), k)
-    return candidates(df, n, hot, spec).select("gram", "est_cnt").orderBy(F.desc("est_cnt"), "gram").limit(k)
+    return _by_cells(df, n, k, spec, hot=True)
 
 
 def bottom_hashed(df: DataFrame, n: int, k: int, spec: HashSpec) -> DataFrame:
     """gram, est_cnt: the k n-grams with the smallest final cell counts (rare ones that share a cell are missed)."""
-    cold = cold_cells(gram_cells(df, n, spec), k)
-    return candidates(df, n, cold, spec, few=False).select("gram", "est_cnt").orderBy("est_cnt", "gram").limit(k)
+    return _by_cells(df, n, k, spec, hot=False)
 
 
-def top_certified(df: DataFrame, n: int, k: int, spec: HashSpec, oversample: int = 4, rounds: int = 3) -> DataFrame:
+def top_sweep(df: DataFrame, n: int, k: int, spec: HashSpec) -> DataFrame:
+    """gram, est_cnt as ``top_hashed``, in a single pass over the corpus.
+
+    Each task counts its cells in one array of ``spec.m`` counters and keeps the SWEEP_KEEP * k n-grams whose
+    cells are fullest so far; one that fills up later comes in at its next occurrence. The tasks' counters
+    are added up and their candidates, k * SWEEP_KEEP each, are ranked by the sums. An n-gram that is in no task's
+    list is missed, so this form, other than the two-pass one, is approximate in its choice too.
+    """
+    keep = SWEEP_KEEP * k
+
+    def sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        counts = np.zeros(spec.m, dtype=np.int64)
+        held: dict[str, int] = {}
+        for batch in batches:
+            cell = batch.column("cell").to_numpy()
+            counts += np.bincount(cell, minlength=spec.m)
+            least = min((counts[c] for c in held.values()), default=0) if len(held) >= keep else 0
+            at = np.flatnonzero(counts[cell] >= least)
+            held.update(zip(batch.column("gram").take(pa.array(at)).to_pylist(), cell[at].tolist(), strict=True))
+            held = dict(sorted(held.items(), key=lambda x: (-counts[x[1]], x[0]))[:keep])
+        used = np.flatnonzero(counts)
+        empty = pa.nulls(len(used), pa.string())
+        yield pa.RecordBatch.from_arrays([pa.array(used), pa.array(counts[used]), empty], names=["cell", "cnt", "gram"])
+        yield pa.RecordBatch.from_arrays([pa.array(list(held.values()), type=pa.int64()), pa.array([0] * len(held), type=pa.int64()), pa.array(list(held), type=pa.string())], names=["cell", "cnt", "gram"])
+
+    cells = grams(df, n).select("gram", spec.cell("gram").alias("cell"))
+    swept = cells.mapInArrow(sweep, "cell long, cnt long, gram string")
+    merged = swept.groupBy("cell").agg(F.sum("cnt").alias("est_cnt"), F.collect_set("gram").alias("grams")).filter(F.size("grams") > 0)
+    return merged.select(F.explode("grams").alias("gram"), "est_cnt").orderBy(F.desc("est_cnt"), "gram").limit(k)
+
+
+def top_certified(df: DataFrame, n: int, k: int, spec: HashSpec, oversample: int = 4) -> DataFrame:
     """gram, cnt, est_cnt, certified: exact counts of the grams in the ``oversample * k`` hottest cells.
 
     An n-gram outside those cells counts at most what the largest other cell does. If the k-th
-    exact count is above that, the answer is proved; else four times as many cells are taken, at
-    most ``rounds`` times.
+    exact count is above that, the answer is proved; else four times as many cells are taken, until it is:
+    all cells give the exact answer.
     """
     cells = gram_cells(df, n, spec).persist()
     wanted = oversample * k
-    for turn in range(rounds):
+    while True:
         hot = hot_cells(cells, wanted)
         bound = hot.agg(F.min("cnt")).first()[0]
         excluded = cells.filter(F.col("cnt") < (bound or 0)).agg(F.max("cnt")).first()[0] or 0
-        found = candidates(df, n, hot, spec, few=wanted <= BROADCAST_CELLS).orderBy(F.desc("cnt"), "gram").limit(k).persist()
+        found = _settled(candidates(df, n, hot, spec, hot.count() <= BROADCAST_CELLS).orderBy(F.desc("cnt"), "gram").limit(k))
         kth = found.agg(F.min("cnt"), F.count("*")).first()
-        sure = excluded == 0 or (kth[1] >= k and kth[0] > excluded)
-        if sure or turn == rounds - 1:
+        if excluded == 0 or (kth[1] >= k and kth[0] > excluded):
             break
-        found.unpersist()
         wanted *= 4
     cells.unpersist()
-    return found.select("gram", "cnt", "est_cnt", F.lit(sure).alias("certified"))
+    return found.select("gram", "cnt", "est_cnt", F.lit(True).alias("certified"))
 
 
 def distinct_exact(df: DataFrame, n: int) -> DataFrame:

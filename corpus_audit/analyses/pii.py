@@ -95,3 +95,9 @@ def extrapolate(raw: DataFrame, judged: DataFrame) -> DataFrame:
 def rate(estimated: DataFrame, summary: DataFrame) -> DataFrame:
     """corpus, kind, rate per token; joined on the corpus, so rows cannot shift."""
     return estimated.join(summary.select("corpus", "n_tokens"), "corpus").select("corpus", "kind", F.round(F.col("est") / F.col("n_tokens"), 9).alias("rate"))
+
+
+def recall(planted: DataFrame, found: DataFrame) -> DataFrame:
+    """corpus, n_planted, n_found, recall of known values (doc_id, corpus, value) among the found ones."""
+    hit = planted.join(found.select("doc_id", "value").distinct().withColumn("hit", F.lit(1)), ["doc_id", "value"], "left")
+    return hit.groupBy("corpus").agg(F.count("*").alias("n_planted"), F.count("hit").alias("n_found"), F.round(F.count("hit") / F.count("*"), 6).alias("recall"))

@@ -17,6 +17,13 @@ def top(df: DataFrame, key: str, k: int) -> DataFrame:
     return found.select(F.col("t.item").alias(key), F.col("t.count").alias("est"))
 
 
+def held(sketch: DataFrame, truth: DataFrame, key: str, total: int, eps: float) -> DataFrame:
+    """key, within: whether the sketch's estimate of each key of ``truth(key, cnt)`` is no less than cnt, and at most ``eps * total`` more."""
+    counter = sketch.sparkSession._jvm.org.apache.spark.util.sketch.CountMinSketch.readFrom(bytes(sketch.first()["sketch"]))
+    rows = [(r[key], r["cnt"] <= counter.estimateCount(r[key]) <= r["cnt"] + eps * total) for r in truth.collect()]
+    return sketch.sparkSession.createDataFrame(rows, f"`{key}` string, within boolean")
+
+
 def frequencies(df: DataFrame, key: str, eps: float = 0.001, confidence: float = 0.99, seed: int = 1) -> DataFrame:
     """A count-min sketch of the keys, one binary value."""
     return df.agg(F.count_min_sketch(key, F.lit(eps), F.lit(confidence), F.lit(seed)).alias("sketch"))

@@ -135,6 +135,15 @@ def top_ngrams_by_corpus(spark, sf):
     return ngrams.top_by_corpus(texts(spark, sf), 1, 5)
 
 
+#: Length of the published lists of each corpus.
+LIST = 10_000
+for _n in (1, 2, 3, 10):
+    @register(f"top_lists_{_n}grams", f"SELECT corpus, gram, cnt, CAST(row_number() OVER (PARTITION BY corpus ORDER BY cnt DESC, gram) AS INTEGER) AS rnk FROM (SELECT corpus, gram, count(*) AS cnt FROM {grams_sql(_n)} GROUP BY corpus, gram) QUALIFY rnk <= {LIST}")
+    def _lists(spark, sf, n=_n):
+        """The published list of each corpus: its 10,000 most frequent n-grams."""
+        return ngrams.top_by_corpus(texts(spark, sf), n, LIST)
+
+
 CELLS_SQL = f"SELECT {CELL} AS cell, count(*) AS cnt FROM {grams_sql(1)} GROUP BY ALL"
 
 
@@ -148,9 +157,9 @@ def hashed_cells_u32(spark, sf):
     return cell_counts(grams(texts(spark, sf), 1), "gram", HashSpec(SPEC.m, fn=SPEC.fn, counter="u32"))
 
 
-def _hashed_sql(order: str, n: int = 1) -> str:
+def _hashed_sql(order: str, n: int = 1, k: int = K) -> str:
     cells = CELLS_SQL.replace(grams_sql(1), grams_sql(n))
-    return f"WITH c AS ({cells}), g AS (SELECT DISTINCT gram FROM {grams_sql(n)}) SELECT gram, cnt AS est_cnt FROM g JOIN c ON {CELL} = cell ORDER BY cnt {order}, gram LIMIT {K}"
+    return f"WITH c AS ({cells}), g AS (SELECT DISTINCT gram FROM {grams_sql(n)}) SELECT gram, cnt AS est_cnt FROM g JOIN c ON {CELL} = cell ORDER BY cnt {order}, gram LIMIT {k}"
 
 
 @register("top_ngrams_hashed", _hashed_sql("DESC", 2))
@@ -158,6 +167,18 @@ def top_ngrams_hashed(spark, sf):
     return ngrams.top_hashed(texts(spark, sf), 2, K, SPEC)
 
 
+for _n in (1, 2, 3, 10):
+    @register(f"top_{_n}grams_hashed_list", _hashed_sql("DESC", _n, LIST))
+    def _hashed_list(spark, sf, n=_n):
+        """The published length of list by hashed cells, over all corpora."""
+        return ngrams.top_hashed(texts(spark, sf), n, LIST, SPEC)
+
+
+@register("top_ngrams_sweep", _hashed_sql("DESC"))
+def top_ngrams_sweep(spark, sf):
+    return ngrams.top_sweep(texts(spark, sf), 1, K, SPEC)
+
+
 #: Production cells: the fast hash, and so many cells that these tables have no collision.
 WIDE = HashSpec(2**48)
 for _name, _n in (("top_100grams_wide", 100), ("top_10grams_wide", 10), ("top_5grams_wide", 5), ("top_bigrams_wide", 2), ("top_trigrams_wide", 3), ("top_unigrams_wide", 1)):
@@ -249,6 +270,27 @@ def sketch_top(spark, sf):
     return sketches.top(grams(texts(spark, sf), 1), "gram", K)
 
 
+_WITHIN = "SELECT * FROM (VALUES ('approx', true), ('hll', true), ('theta', true)) AS v(sketch, within)"
+
+
+@register("sketch_distinct_error", _WITHIN)
+def sketch_distinct_error(spark, sf):
+    """Whether each sketch of the distinct tokens lies within a tenth of the exact number."""
+    words = grams(texts(spark, sf), 1)
+    exact = words.agg(F.countDistinct("gram").alias("exact"))
+    found = sketches.distinct(words, "gram").join(F.broadcast(exact))
+    near = lambda c: F.abs(F.col(c) / F.col("exact") - 1) <= 0.1
+    return found.select(F.explode(F.array(*(F.struct(F.lit(c).alias("sketch"), near(c).alias("within")) for c in ("approx", "hll", "theta")))).alias("x")).select("x.sketch", "x.within")
+
+
+@register("sketch_frequency_error", f"SELECT gram, true AS within FROM ({_top_sql(1)})")
+def sketch_frequency_error(spark, sf):
+    """Whether the count-min estimate of each frequent token is no less than its count and at most a thousandth of all tokens above it."""
+    words = grams(texts(spark, sf), 1)
+    truth = ngrams.top_exact(texts(spark, sf), 1, K)
+    return sketches.held(sketches.frequencies(words, "gram"), truth, "gram", words.count(), 0.001)
+
+
 # --- domains, dates, places, languages --------------------------------------------------------
 @register("domains_by_doc", _shares_sql(PAGE_TOK, "host", "count(*)", 10))
 def domains_by_doc(spark, sf):
@@ -347,10 +389,38 @@ def language_share(spark, sf):
     return language.share(documents(spark, sf))
 
 
-@register("language_detected")
+_PROFILE_SQL = f"""c AS (SELECT doc_id, source, lang, regexp_replace(lower(coalesce(text, '')), '[^\\p{{L}}]+', ' ', 'g') AS c FROM documents),
+g AS (SELECT doc_id, source, lang, substr(c, i, 3) AS gram FROM (SELECT *, unnest(range(1, length(c) - 1)) AS i FROM c WHERE length(c) >= 3)),
+n AS (SELECT lang, gram, count(*) AS c FROM g WHERE lang IS NOT NULL AND doc_id % {language.FOLDS} <> {language.HELD} GROUP BY lang, gram QUALIFY row_number() OVER (PARTITION BY lang ORDER BY c DESC, gram) <= {language.SIZE}),
+p AS (SELECT lang AS l, gram, ln(c / sum(c) OVER (PARTITION BY lang)) AS weight FROM n)"""
+_DETECT_SQL = f"""{_PROFILE_SQL},
+s AS (SELECT doc_id, l, round(sum(weight + {-language.UNSEEN}), 6) AS score FROM g JOIN p USING (gram) GROUP BY doc_id, l),
+b AS (SELECT doc_id, l FROM s QUALIFY row_number() OVER (PARTITION BY doc_id ORDER BY score DESC, l) = 1),
+d AS (SELECT t.doc_id, t.source, t.lang AS given, coalesce(l, 'UN') AS lang FROM documents t LEFT JOIN b ON t.doc_id = b.doc_id)"""
+
+
+@register("language_profiles", f"WITH {_PROFILE_SQL} SELECT l AS lang, gram, round(weight, 6) AS weight FROM p")
+def language_profiles(spark, sf):
+    return language.profiles(texts(spark, sf)).select("lang", "gram", F.round("weight", 6).alias("weight"))
+
+
+@register("language_detected", f"WITH {_DETECT_SQL} SELECT doc_id, lang FROM d")
 def language_detected(spark, sf):
     docs = texts(spark, sf)
-    return language.detect(docs, language.profiles(docs))
+    return language.detect(docs, language.profiles(docs)).select("doc_id", "lang")
+
+
+@register("language_accuracy", f"WITH {_DETECT_SQL} SELECT given AS lang, count(*) AS n, count(*) FILTER (lang = given) AS n_right, round(count(*) FILTER (lang = given) / count(*), 6) AS accuracy FROM d WHERE doc_id % {language.FOLDS} = {language.HELD} AND given IS NOT NULL GROUP BY given")
+def language_accuracy(spark, sf):
+    """The detector on documents that it never learned from."""
+    return language.accuracy(language_detected(spark, sf), documents(spark, sf))
+
+
+@register("language_detected_share", f"WITH {_DETECT_SQL} SELECT corpus, lang, n, round(n / sum(n) OVER (PARTITION BY corpus), 6) AS share FROM (SELECT source AS corpus, lang, count(*) AS n FROM d GROUP BY ALL)")
+def language_detected_share(spark, sf):
+    """Languages of each corpus by detection."""
+    found = language_detected(spark, sf).withColumnRenamed("lang", "found")
+    return language.share(documents(spark, sf).select("doc_id", "corpus").join(found, "doc_id"), "found")
 
 
 # --- duplicates and lengths -------------------------------------------------------------------
@@ -378,6 +448,12 @@ def text_duplicates_all(spark, sf):
     return duplicates.stats(documents(spark, sf).withColumn("corpus", F.lit("all")))
 
 
+@register("duplicate_keys_bytes", "SELECT corpus, CAST(sum(b) AS BIGINT) AS string_bytes, 16 * count(*) AS digest_bytes, round(sum(b) / (16 * count(*)), 6) AS ratio FROM (SELECT DISTINCT source AS corpus, text, octet_length(encode(text)) AS b FROM documents WHERE text IS NOT NULL) GROUP BY corpus")
+def duplicate_keys_bytes(spark, sf):
+    """What the keys of a duplicate search weigh as texts and as digests."""
+    return duplicates.key_bytes(documents(spark, sf))
+
+
 @register("text_duplicates_by_string", ORACLES["text_duplicates_all"])
 def text_duplicates_by_string(spark, sf):
     """The baseline that keeps every string: the texts themselves are shuffled."""
@@ -543,10 +619,19 @@ def _set_sql(name: str, items: str) -> str:
 def contamination_report(spark, sf):
     docs = texts(spark, sf)
     turns = table(spark, sf, "conversations").groupBy(F.col("conv_id").alias("item_id")).agg(F.transform(F.array_sort(F.collect_list(F.struct("turn", "text"))), lambda t: t["text"]).alias("fields"))
-    rates = [contamination.rate(contamination.evaluate(docs, items), docs, items).select(F.lit(name).alias("set"), "corpus", "rate") for name, items in (("benchmark", _items(spark, sf)), ("conversations", turns))]
+    rates = [contamination.rate(contamination.evaluate(docs, items, "index"), docs, items).select(F.lit(name).alias("set"), "corpus", "rate") for name, items in (("benchmark", _items(spark, sf)), ("conversations", turns))]
     return contamination.report(rates[0].union(rates[1]))
 
 
+@register("contamination_bound", f"SELECT item_id, count(DISTINCT CASE WHEN n = n_fields THEN doc_id END) AS n_all, count(DISTINCT doc_id) AS n_any, bool_and(n = n_fields OR n < n_fields) AS bounded FROM {HITS} GROUP BY item_id")
+def contamination_bound(spark, sf):
+    """Documents with all fields of an item against those with any: the former are never more."""
+    docs, items = texts(spark, sf), _items(spark, sf)
+    counted = [contamination.per_item(contamination.evaluate(docs, items, "index", r), items).select("item_id", F.col("n_docs").alias(f"n_{r}")) for r in ("all", "any")]
+    met = counted[0].join(counted[1], "item_id").filter("n_any > 0")
+    return met.select("item_id", "n_all", "n_any", (F.col("n_all") <= F.col("n_any")).alias("bounded"))
+
+
 @register("decontaminate", f"SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM {ALL_HITS})")
 def decontaminate(spark, sf):
     docs = texts(spark, sf)
@@ -614,6 +699,17 @@ def pii_per_token(spark, sf):
     return pii.rate(pii_extrapolated(spark, sf), docs.groupBy("corpus").agg(F.sum(n_tokens("text")).alias("n_tokens")))
 
 
+_PLANTED = r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}"
+
+
+@register("pii_recall", f"SELECT corpus, count(*) AS n_planted, count(*) FILTER (found) AS n_found, round(count(*) FILTER (found) / count(*), 6) AS recall FROM (SELECT corpus, list_contains(coalesce(f, []), v) AS found FROM (SELECT doc_id, corpus, unnest(list_distinct(regexp_extract_all(text, '{_PLANTED}'))) AS v FROM {DOCS}) LEFT JOIN (SELECT doc_id, list(DISTINCT value) AS f FROM {EMAIL_SQL} GROUP BY doc_id) USING (doc_id)) GROUP BY corpus")
+def pii_recall(spark, sf):
+    """Share of the strictly formed addresses of each document that the rule finds, by corpus."""
+    docs = documents(spark, sf)
+    planted = docs.select("doc_id", "corpus", F.explode(F.array_distinct(F.regexp_extract_all("text", F.lit(_PLANTED), F.lit(0)))).alias("value"))
+    return pii.recall(planted, pii.find(docs, "email"))
+
+
 _MARKS = "(?:" + "|".join(rf"\{c}{{51,}}" for c in "!#$%&*+-./:;<=>?@^_~()") + ")"
 
 
@@ -648,19 +744,27 @@ def toxic_lexicon_quality(spark, sf):
     return toxicity.quality(toxicity.toxic_ids(texts(spark, sf), _lexicon(spark)), table(spark, sf, "labels"))
 
 
-@register("toxic_classifier")
-def toxic_classifier(spark, sf):
+def _classified(spark: SparkSession, sf: str) -> DataFrame:
+    """All documents by a classifier that left the held-out fold's labels alone."""
     docs = texts(spark, sf)
     return toxicity.classify(docs, toxicity.train(docs, table(spark, sf, "labels")))
 
 
+@register("toxic_classifier")
+def toxic_classifier(spark, sf):
+    return _classified(spark, sf).select("doc_id", "toxic")
+
+
+@register("toxic_classifier_documents")
+def toxic_classifier_documents(spark, sf):
+    """Documents of each corpus that hold a sentence which the classifier finds toxic, in percent."""
+    return toxicity.share(_classified(spark, sf), documents(spark, sf))
+
+
 @register("toxic_classifier_quality")
 def toxic_classifier_quality(spark, sf):
-    """Held-out measures: one of five folds is left out of training and judged."""
-    docs, labels = texts(spark, sf), table(spark, sf, "labels")
-    held = F.col("doc_id") % 5 == 0
-    model = toxicity.train(docs, labels, fold=0)
-    return toxicity.scores(toxicity.classify(docs.filter(held), model), labels.filter(held))
+    """Measures over the held-out fold."""
+    return toxicity.scores(_classified(spark, sf).filter(toxicity.held_out()), table(spark, sf, "labels").filter(toxicity.held_out()))
 
 
 @register("toxic_agreement")
@@ -687,6 +791,14 @@ def demographic_sentiment(spark, sf):
     return sentiment.by_term(*_sentiment_args(spark, sf))
 
 
+@register("demographic_sentiment_sample", "SELECT grp, term, n_sentences, mean_polarity FROM (" + ORACLES["demographic_sentiment"].replace("FROM documents", "FROM (SELECT * FROM documents WHERE CAST('0x' || substr(md5('t' || CAST(doc_id AS VARCHAR)), 1, 4) AS INTEGER) % 10 = 0)") + ")")
+def demographic_sentiment_sample(spark, sf):
+    """The published form: on a tenth of the documents, chosen by a hash of their ids."""
+    docs, groups, scores = _sentiment_args(spark, sf)
+    tenth = F.conv(F.substring(F.md5(F.concat(F.lit("t"), F.col("doc_id").cast("string")).cast("binary")), 1, 4), 16, 10).cast("long") % 10 == 0
+    return sentiment.by_term(docs.filter(tenth), groups, scores)
+
+
 @register("cooccurrence_sentiment", f"""WITH m AS (SELECT grp, t.term, x.term AS word, score, count(*) AS n FROM {SENT_TERMS_SQL} t JOIN {GROUP_SQL} USING (term) JOIN (SELECT DISTINCT doc_id, s, term FROM (SELECT doc_id, s, unnest(w) AS term FROM {SENTENCES_SQL})) x ON t.doc_id = x.doc_id AND t.s = x.s JOIN {_values(POLARITY_ROWS, 'word', 'score')} p ON p.word = x.term WHERE x.term <> t.term GROUP BY ALL)
 SELECT grp, term, count(*) AS n_words, round(avg(CAST(score AS DOUBLE)), 6) AS mean_polarity FROM (SELECT * FROM m QUALIFY row_number() OVER (PARTITION BY grp, term ORDER BY n DESC, word) <= 10) GROUP BY grp, term""")
 def cooccurrence_sentiment(spark, sf):
@@ -761,9 +873,9 @@ def url_overlap_pairs(spark, sf):
 _SETS = "(SELECT text, list_sort(list(DISTINCT source)) AS m FROM documents WHERE text IS NOT NULL GROUP BY text HAVING count(DISTINCT source) >= 3)"
 
 
-@register("overlap_sets", f"""WITH e AS (SELECT text, unnest(m) AS c FROM {_SETS}),
-t AS (SELECT a.text, a.c || '+' || b.c || '+' || d.c AS members, d.c AS last FROM e a JOIN e b ON a.text = b.text AND a.c < b.c JOIN e d ON d.text = a.text AND b.c < d.c)
-SELECT members, count(*) AS n FROM (SELECT text, members FROM t UNION ALL SELECT t.text, members || '+' || e.c FROM t JOIN e ON e.text = t.text AND e.c > last) GROUP BY members ORDER BY n DESC, members LIMIT 10""")
+@register("overlap_sets", f"""WITH RECURSIVE e AS (SELECT text, unnest(m) AS c FROM {_SETS}),
+t(text, members, last, size) AS (SELECT text, c, c, 1 FROM e UNION ALL SELECT t.text, members || '+' || e.c, e.c, size + 1 FROM t JOIN e ON e.text = t.text AND e.c > last)
+SELECT members, count(*) AS n FROM t WHERE size >= 3 GROUP BY members ORDER BY n DESC, members LIMIT 10""")
 def overlap_sets(spark, sf):
     return overlap.subsets(documents(spark, sf))
 

@@ -23,9 +23,19 @@ def source(spark: SparkSession, sf_dir: str, name: str, files_per_trigger: int =
 
 
 def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there and return what it put out."""
+    """Run a stream over what is there and return what it put out.
+
+    Appended rows and the stream's state go to the shared folder of ``spark.checkpoint.dir``. Only where that is unset, as in tests,
+    or for the small tables of the other modes, are they kept in memory.
+    """
     spark, name = stream.sparkSession, f"stream_{uuid.uuid4().hex}"
-    stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    writer = stream.writeStream.outputMode(mode).trigger(availableNow=True)
+    if root and mode == "append":
+        path = f"{root.rstrip('/')}/streams/{name}"
+        writer.format("parquet").option("checkpointLocation", f"{path}/state").start(f"{path}/rows").awaitTermination()
+        return spark.read.schema(stream.schema).parquet(f"{path}/rows")
+    writer.format("memory").queryName(name).start().awaitTermination()
     return spark.table(name)
 
 
@@ -42,9 +52,10 @@ def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "1 day") ->
     return counted.select("user_id", F.col("s.start").alias("session_start"), F.col("s.end").alias("session_end"), "n")
 
 
-def dedup(docs: DataFrame) -> DataFrame:
-    """digest of each text on its first arrival; the state holds 16 bytes a text."""
-    return docs.select(F.md5(F.coalesce("text", F.lit("")).cast("binary")).alias("digest")).dropDuplicates(["digest"])
+def dedup(docs: DataFrame, keep: str = "30 days") -> DataFrame:
+    """digest of each text on its first arrival; the state holds 16 bytes a text and forgets those that arrived more than ``keep`` ago."""
+    arrived = docs.select(F.md5(F.coalesce("text", F.lit("")).cast("binary")).alias("digest"), F.current_timestamp().alias("arrived"))
+    return arrived.withWatermark("arrived", keep).dropDuplicatesWithinWatermark(["digest"]).select("digest")
 
 
 def dedup_within(events: DataFrame, key: str = "event_id", late: str = "1 day") -> DataFrame:

@@ -171,3 +171,34 @@ def test_estimated_dates_are_lower_bounds(spark):
 def test_curation(spark):
     df = corpus(spark, ["a", "a", " ", "=" * 12])
     assert [r["doc_id"] for r in curate.apply(df, ["duplicates", "blank", "repeats"]).collect()] == [0]
+
+
+def test_index_route_agrees_with_the_scan_on_fields_cut_anywhere(spark):
+    import random
+
+    rng = random.Random(11)
+    parts = ["3.5", "it's", "good", "now", "ok", "a.b", "1,000", "x", "_y", "'", ".", "end.", "né", "10"]
+    texts = ["price is 3.5 good now ok here", *(" ".join(rng.choice(parts) for _ in range(30)) for _ in range(40))]
+    fields = [".5 good now ok"]
+    for t in texts[1:]:
+        for _ in range(5):
+            a = rng.randrange(len(t) - 25)
+            fields.append(t[a : a + rng.randrange(3, 60)].strip() or "x")
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    asked = spark.createDataFrame([(i, 0, f) for i, f in enumerate(fields)], "item_id long, field int, value string")
+    want = {(d, i) for d, t in enumerate(texts) for i, f in enumerate(fields) if f in t}
+    for route in (contamination.hits_by_index, contamination.hits_by_scan):
+        assert {(r["doc_id"], r["item_id"]) for r in route(docs, asked).collect()} == want
+
+
+def test_scan_deals_many_fields_to_several_automata(spark, monkeypatch):
+    monkeypatch.setattr(contamination, "MAX_FIELDS", 3)
+    docs = spark.createDataFrame([(1, "a b c d e f g h")], "doc_id long, text string")
+    asked = spark.createDataFrame([(i, 0, f) for i, f in enumerate("abcdefghz")], "item_id long, field int, value string")
+    assert {r["item_id"] for r in contamination.hits_by_scan(docs, asked).collect()} == set(range(8))
+
+
+def test_classifier_scores_sentences_within_the_row(spark):
+    rows = [(1, "Fine day. You moron! Next"), (2, "Fine day."), (3, None), (4, "")]
+    out = {r["doc_id"]: (r["toxic"], r["score"]) for r in toxicity.classify(spark.createDataFrame(rows, "doc_id long, text string"), {"": -1.0, "moron": 3.0, "fine": -0.5}).collect()}
+    assert out[1] == (1, 2.0) and out[2] == (0, -1.5) and out[3][0] == out[4][0] == 0
