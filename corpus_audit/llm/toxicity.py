@@ -20,10 +20,12 @@ from corpus_audit.llm import kernels as K
 from corpus_audit.llm.common import fit_in_task, held_out, learning_sample, small_side, whole_text
 
 WINDOW, STRIDE = 24, 12
-WORD_ROWS, CHAR_ROWS, WORD_DIM, CHAR_DIM, HIDDEN = 1 << 15, 1 << 14, 8, 12, 8
+WORD_ROWS, CHAR_ROWS, WORD_DIM, CHAR_DIM, HIDDEN = 1 << 18, 1 << 16, 8, 12, 8
 #: Learning rows per label, and the longest text among them.
 MAX_LEARN, MAX_LEARN_CHARS = 2000, 60_000
 THRESHOLD = 0.7
+#: Weight of the words' start in their embeddings, and the learning texts that a feature must be in to have one.
+START, MIN_TEXTS = 0.5, 3
 BLOCK = 2048
 
 
@@ -197,9 +199,13 @@ class Network:
         return g, {"word": (inputs.word_row[real], d_vectors[:, :WORD_DIM]), "char": (grams, d_gram)}
 
 
-def _first_choice(inputs: Inputs, toxic: np.ndarray, block: int = 200) -> np.ndarray:
-    """A window weight from feature log odds over texts: the highest of any feature in the window."""
-    weights = []
+def _first_choice(inputs: Inputs, toxic: np.ndarray, block: int = 200) -> tuple[np.ndarray, list[np.ndarray]]:
+    """A window weight from feature log odds over texts, the highest of any feature in the window; and a start for the word embeddings.
+
+    The start is by how many standard deviations more toxic texts hold the word than its texts in all let
+    expect, so a word of a single text says little.
+    """
+    weights, marks = [], []
     n_words = len(inputs.word_row)
     n_pos, n_neg = max(1, int(toxic.sum())), max(1, int((1 - toxic).sum()))
     for rows, start, size in ((inputs.word_row, np.arange(n_words + 1), WORD_ROWS), (inputs.grams, inputs.gram_start, CHAR_ROWS)):
@@ -213,14 +219,19 @@ def _first_choice(inputs: Inputs, toxic: np.ndarray, block: int = 200) -> np.nda
             text, row = np.divmod(np.unique(np.repeat(text, count) * np.int64(size) + flat), size)
             for k in (0, 1):
                 seen_in[k] += np.bincount(row[toxic[i + text] == k], minlength=size)
+        share = n_pos / (n_pos + n_neg)
+        known = seen_in.sum(axis=0) >= MIN_TEXTS
+        marks.append(np.where(known, np.clip((seen_in[1] - share * seen_in.sum(axis=0)) / np.sqrt(1 + share * seen_in.sum(axis=0)), -4, 4), np.nan))
         odds = np.log((seen_in[1] + 0.5) / (n_pos + 1)) - np.log((seen_in[0] + 0.5) / (n_neg + 1))
+        odds = np.where(known, odds, odds.min())
         best = np.full(n_words + 1, -np.inf)
         filled = np.diff(start) > 0
         if filled.any():
             best[:-1][filled] = np.maximum.reduceat(odds[rows], start[:-1][filled])
         weights.append(best)
     best = np.maximum(*weights)
-    return np.concatenate([best[inputs.windows(np.arange(i, min(i + BLOCK, len(inputs.begin))))[0]].max(axis=1) for i in range(0, len(inputs.begin), BLOCK)] or [np.zeros(0)])
+    scores = np.concatenate([best[inputs.windows(np.arange(i, min(i + BLOCK, len(inputs.begin))))[0]].max(axis=1) for i in range(0, len(inputs.begin), BLOCK)] or [np.zeros(0)])
+    return scores, marks
 
 
 def _top(scores: np.ndarray, inputs: Inputs, texts: np.ndarray, k: int) -> np.ndarray:
@@ -243,13 +254,17 @@ def train(texts: list[str], labels: list[int], rounds: int = 4, batch: int = 192
     if not len(pos) or not len(neg):
         net.shift = -10.0
         return net
-    scores = _first_choice(inputs, toxic)
+    scores, (start, gram_start) = _first_choice(inputs, toxic)
+    known = {"word": ~np.isnan(start), "char": ~np.isnan(gram_start)}
+    net.p["word"][:, 0] = START * start
+    for name, has in known.items():  # a feature of few texts is left out, or the network would learn these texts by heart
+        net.p[name][~has] = 0
     all_neg = np.concatenate([np.arange(inputs.window_start[t], inputs.window_start[t + 1]) for t in neg])
     moments = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in net.p.items() if k not in ("word", "char")}
     squares = {k: np.full(len(net.p[k]), 1e-6) for k in ("word", "char")}
     step = 0
     for _ in range(rounds):
-        chosen = _top(scores, inputs, pos, 1)
+        chosen = _top(scores, inputs, pos, 2)
         hard = _top(scores, inputs, neg, 2)
         for _ in range(-(-steps // rounds)):
             k = batch // 2
@@ -263,6 +278,7 @@ def train(texts: list[str], labels: list[int], rounds: int = 4, batch: int = 192
                 v += 0.01 * (g * g - v)
                 net.p[name] -= (0.01 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)).astype(np.float32)
             for name, (rows, g) in sparse.items():
+                rows, g = rows[known[name][rows]], g[known[name][rows]]
                 used, back = np.unique(rows, return_inverse=True)
                 total = np.zeros((len(used), g.shape[1]))
                 np.add.at(total, back, g)
