@@ -6,14 +6,16 @@ that differs in at most ``DISTANCE`` of these symbols: by the pigeonhole princip
 ``INDEXED / CHUNK`` chunks of such a pair holds at most one differing symbol, so each chunk is
 indexed once per symbol left out. Of all min-hashes 2 bits are kept as a check: pairs met in the
 index go on if at most ``CHECK_BITS`` of these bits differ, and are then confirmed on full
-shingle sets. A pair at exactly 0.75 passes each of the two bounds but for a chance of about 1e-5,
-which falls steeply above.
+shingle sets. A pair at exactly 0.75 has 192 of them apart on average with a deviation of 15.5, so the check
+loses a link with a chance below 1e-9; the distance itself, which is the promise, is passed but for
+a chance of about 1e-5, which falls steeply above 0.75.
 
 Pairs are never expanded inside a bucket as long as its members may still come together: in each
 of ``ROUNDS`` rounds every bucket has one pivot, the members of other components are held against
 it, each of them tries the ``TRIES`` most similar of the
 ``MET`` pivots that it shares most keys with, and confirmed links are contracted to components.
-Only then are members of different components that share a bucket compared with each other.
+Only then are members of different components that share a bucket compared with each other, in blocks of
+``BUCKET`` members against the bucket.
 """
 
 from __future__ import annotations
@@ -30,9 +32,11 @@ from corpus_audit.llm import kernels as K
 from corpus_audit.llm.common import discard, materialize, small_side, whole_text
 from corpus_audit.llm.graph import connected_components
 
-SYMBOLS, CHECK_BITS = 768, 260
+SYMBOLS, CHECK_BITS = 768, 290
 INDEXED, CHUNK, DISTANCE = 64, 4, 31
 ROUNDS, MET, TRIES = 3, 20, 4
+#: Members of a bucket that one task of the last join takes on one side.
+BUCKET = 512
 INDEX_LANES, CHECK_LANES = INDEXED // 4, SYMBOLS // 32
 LANES = [*(f"s{i}" for i in range(INDEX_LANES)), *(f"c{i}" for i in range(CHECK_LANES))]
 _seeds = np.random.default_rng(977)
@@ -211,11 +215,11 @@ def near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
 
     # What is left: bucket mates that no pivot brought into one component.
     placed = _placed(shared, found)
-    split = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("key")
+    split = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.ceil(F.count("*") / BUCKET).alias("blocks")).filter("lo < hi").select("key", "blocks")
     chunks = classes.select("node", F.array(*LANES[:INDEX_LANES]).alias("chunks"))
-    carried = materialize(placed.join(split, "key", "left_semi"), "mixed").join(_checks(classes, "node", "c"), "node").join(chunks, "node")
-    one, two = (carried.select("key", F.col("node").alias(x), F.col("component").alias(f"of_{x}"), F.col("chunks").alias(f"{x}_chunks"), F.col("cn").alias(f"{y}n"), *(F.col(f"c{i}").alias(f"{y}{i}") for i in range(CHECK_LANES))) for x, y in (("u", "p"), ("v", "q")))
-    rest = one.join(two, (one["key"] == two["key"]) & (F.col("of_u") > F.col("of_v")) & _may_link("p", "q") & _first_key(one["key"], "u_chunks", "v_chunks")).select("u", "v").distinct()
+    carried = materialize(placed.join(split, "key"), "mixed").join(_checks(classes, "node", "c"), "node").join(chunks, "node")
+    one, two = (carried.select("key", block.alias("block"), F.col("node").alias(x), F.col("component").alias(f"of_{x}"), F.col("chunks").alias(f"{x}_chunks"), F.col("cn").alias(f"{y}n"), *(F.col(f"c{i}").alias(f"{y}{i}") for i in range(CHECK_LANES))) for x, y, block in (("u", "p", F.pmod(F.xxhash64("node"), "blocks")), ("v", "q", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))))
+    rest = one.join(two, (one["key"] == two["key"]) & (one["block"] == two["block"]) & (F.col("of_u") > F.col("of_v")) & _may_link("p", "q") & _first_key(one["key"], "u_chunks", "v_chunks")).select("u", "v").distinct()
     rest = materialize(rest.join(tried, ["u", "v"], "left_anti"), "rest")
     links, found, tried = _grown(docs, rest, links, found, tried)
 
@@ -228,11 +232,15 @@ def near_duplicates(spark: SparkSession, docs: DataFrame) -> DataFrame:
 
 
 def op9_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The class of near duplicates of every document; see ``near_duplicates`` for odd rows. Texts of any length are read whole, and columns other than doc_id and text are not read."""
     return near_duplicates(spark, spark.read.parquet(f"{sf_dir}/documents.parquet"))
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays: the one with the smallest id (one row, if it is repeated)."""
+    """One document of each group stays: the one with the smallest id (one row, if it is repeated).
+
+    Documents without a word or an id stay; an empty table stays empty; other columns are carried along untouched.
+    """
     found = near_duplicates(spark, docs)
     gone = small_side(found.filter(~F.col("kept")).select("doc_id").distinct())
     repeated = materialize(found.filter(F.col("doc_id").isNotNull()).groupBy("doc_id").count().filter("count > 1").select("doc_id"), "repeated")
