@@ -5,7 +5,8 @@ quality and toxicity). With t the document's tokens and p its posterior, the rat
 
     1/2 (A r - b)' M (A r - b) + REGULAR / 2 * sum w (r - 1)^2,   A_kd = t_d p_dk,  b_k = target_k * sum t,
 
-by projected gradient steps. M, the inverse of A A', makes the few domains' directions alike, so
+by projected gradient steps, where b is raised or lowered by the gaps of earlier rounds (a multiplier), so that the
+pull towards rate 1 decides among the rates that meet the targets and does not keep totals from them. M, the inverse of A A', makes the few domains' directions alike, so
 that a fixed step converges in a few rounds. One round is one pass over the narrow table of tokens
 and posteriors that returns one number per domain; rates are never stored on the way, since each
 row replays its own steps from the domain vectors of the rounds before.
@@ -28,7 +29,9 @@ BUCKETS = 1 << 16
 MAX_LEARN, MAX_LEARN_CHARS = 1000, 60_000
 #: Share of tokens that each domain shall have; domains not named share what is left by their present size.
 TARGETS = {"q1t0": 0.90}
-REGULAR, STEP, ROUNDS, TOLERANCE = 0.02, 0.9, 40, 1e-4
+REGULAR, STEP, MULTIPLIER, ROUNDS = 0.02, 0.9, 0.3, 60
+#: The largest gap between a domain's share and its target at which the rounds end, and rounds without a smaller one.
+TOLERANCE, PATIENCE = 1e-3, 20
 
 
 class Classifier:
@@ -154,7 +157,7 @@ def _pass(members: DataFrame, steps: list[np.ndarray], domains: int) -> np.ndarr
 
 
 def solve(members: DataFrame, domains: list[str], targets: dict[str, float] | None = None) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
-    """The steps of the projected gradient, and the target and reached token totals by domain.
+    """The steps of the projected gradient, and the target and reached token totals by domain (those of these steps).
 
     Rows are weighted by their tokens (w = t), so a step moves a rate by its posterior times the
     domain vector: long and short documents with equal posteriors get equal rates.
@@ -181,24 +184,30 @@ def solve(members: DataFrame, domains: list[str], targets: dict[str, float] | No
     goal = goal / goal.sum() * total
     inverse = np.linalg.pinv(second + 1e-9 * total * np.eye(k))
     steps: list[np.ndarray] = []
+    debt, best = np.zeros(k), (np.inf, [], now)
     for _ in range(ROUNDS):
         reached = _pass(members, steps, k)
-        v = inverse @ (reached - goal)
-        if steps and np.abs(v - steps[-1]).max() < TOLERANCE:
+        gap = reached - goal
+        if np.abs(gap).max() < best[0]:
+            best = (float(np.abs(gap).max()), list(steps), reached)
+        # Targets that no rates can meet end the rounds too; then the nearest totals count.
+        if best[0] < TOLERANCE * total or len(steps) - len(best[1]) >= PATIENCE:
             break
-        steps.append(v)
-    return steps, goal, reached
+        steps.append(inverse @ (gap + debt))
+        debt += MULTIPLIER * gap
+    return best[1], goal, best[2]
 
 
-def mixed(spark: SparkSession, docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None) -> tuple[DataFrame, list[str]]:
-    """``doc_id, u, n_tokens, p, rate, copies`` per row of docs, and the domains of ``p``.
+def mixed(spark: SparkSession, docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None) -> tuple[DataFrame, list[str], dict[str, tuple[float, float]]]:
+    """``doc_id, u, n_tokens, p, rate, copies`` per row of docs, the domains of ``p``, and the goal and the reached share of tokens of each.
 
     ``copies`` is the rate rounded down or up by the row's own number u, so its mean is the rate.
     Texts without words have the prior as posterior. An empty table gives an empty result.
     """
     model = learn(docs, labels)
     members = materialize(memberships(docs, model), "members")
-    steps, _, _ = solve(members, model.domains, targets)
+    steps, goal, reached = solve(members, model.domains, targets)
+    shares = {d: (goal[k] / max(1e-9, goal.sum()), reached[k] / max(1e-9, reached.sum())) for k, d in enumerate(model.domains)}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -206,17 +215,28 @@ def mixed(spark: SparkSession, docs: DataFrame, labels: DataFrame, targets: dict
             copies = np.floor(rate + batch.column("u").to_numpy()).astype(np.int64)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(rate), pa.array(copies)], names=[*batch.schema.names, "rate", "copies"])
 
-    return members.mapInArrow(run, "doc_id long, u double, n_tokens long, p array<double>, rate double, copies long"), model.domains
+    return members.mapInArrow(run, "doc_id long, u double, n_tokens long, p array<double>, rate double, copies long"), model.domains, shares
 
 
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Tokens, posteriors, rate and copies of every document; ``goal_`` and ``reached_`` are the domains' shares of all expected tokens.
+
+    Null and empty texts have no tokens and the prior as posterior; texts of any length are read whole; repeated rows
+    get equal rates and copies; an empty table gives an empty result, and one without labels a single domain; columns other
+    than doc_id and text are not read.
+    """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    out, domains = mixed(spark, docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return out.select("doc_id", "n_tokens", *(F.get("p", F.lit(k)).alias(f"p_{d}") for k, d in enumerate(domains)), "rate", "copies")
+    out, domains, shares = mixed(spark, docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    balance = [F.lit(round(x, 6)).alias(f"{name}_{d}") for d in domains for name, x in zip(("goal", "reached"), shares[d], strict=True)]
+    return out.select("doc_id", "n_tokens", *(F.get("p", F.lit(k)).alias(f"p_{d}") for k, d in enumerate(domains)), "rate", "copies", *balance)
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as its copies say."""
+    """Each document as often as its copies say, which may be never.
+
+    Null and empty texts have the prior as posterior; repeated rows get equal copies; an empty table stays empty; other columns are
+    carried along untouched.
+    """
     model = learn(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
     members = materialize(memberships(docs, model), "members")
     steps, _, _ = solve(members, model.domains)
