@@ -19,38 +19,36 @@ from corpus_audit.llm.common import fit_in_task, held_out, learning_sample, smal
 from corpus_audit.llm.kernels import slices, text_buffer
 
 DIMENSIONS, N = 512, 3
-#: Letters with vectors of their own; all rarer ones share the last. Number 0 is the gap between words.
+#: Letters whose n-grams are bound beforehand; rarer ones have vectors as well, bound as they occur. Number 0 is the gap between words.
 ALPHABET = 48
-#: Learning rows per language, and the longest text among them.
+#: Learning rows per language, and the longest text among them: together they bound the sample that is fitted in one task.
 MAX_LEARN, MAX_LEARN_CHARS = 1500, 60_000
 UNKNOWN = "und"
+#: N-grams whose vectors are summed at a time, and bits of a letter's number.
+BLOCK, _BITS = 4096, 21
 
 
 def _letter_numbers(letters: list[int]) -> np.ndarray:
-    """Letter number of each code point: 0 no letter, 1.. the given letters, ALPHABET - 1 any other letter."""
-    table = np.zeros(0x110000, dtype=np.uint8)
-    # Letters beyond the ASCII range are told by the character database, in blocks.
-    table[[c for c in range(0x30000) if chr(c).isalpha()]] = ALPHABET - 1
-    for i, c in enumerate(letters):
-        table[c] = i + 1
-    for c in range(0x30000):
-        low = chr(c).lower()
-        if table[c] == ALPHABET - 1 and len(low) == 1 and ord(low) != c:
-            table[c] = table[ord(low)]
+    """Letter number of each code point: 0 no letter, 1.. the given letters, ALPHABET + code point any other letter; upper case as lower."""
+    table = np.zeros(0x110000, dtype=np.int32)
+    given = {c: i + 1 for i, c in enumerate(letters)}
+    for c in range(0x110000):
+        x = chr(c)
+        if x.isalpha():
+            low = x.lower()
+            own = ord(low) if len(low) == 1 else c
+            table[c] = given.get(own, ALPHABET + own)
     return table
 
 
-def _codes(text: np.ndarray, table: np.ndarray) -> np.ndarray:
-    """The n-gram numbers of one text's code points; gaps between words count as one."""
+def _grams(text: np.ndarray, table: np.ndarray) -> np.ndarray:
+    """The n-grams of one text's code points as rows of letter numbers; gaps between words count as one letter."""
     ids = table[text]
     gap = ids == 0
     keep = np.ones(len(ids), dtype=bool)
     keep[1:] = ~(gap[1:] & gap[:-1])
-    ids = np.concatenate([[0], ids[keep], [0]]).astype(np.int32)
-    code = ids[: len(ids) - N + 1].copy()
-    for k in range(1, N):
-        code = code * ALPHABET + ids[k : len(ids) - N + 1 + k]
-    return code
+    ids = np.concatenate([[0], ids[keep], [0]]).astype(np.int64)
+    return np.lib.stride_tricks.sliding_window_view(ids, N) if len(ids) >= N else np.zeros((0, N), dtype=np.int64)
 
 
 class Profiles:
@@ -74,14 +72,30 @@ class Profiles:
     def _open(self) -> None:
         self.table = _letter_numbers(self.letters)
         vectors = np.random.default_rng(self.seed).choice(np.array([-1, 1], dtype=np.int8), (ALPHABET, DIMENSIONS))
+        self.vectors = dict(enumerate(vectors))
         grams = vectors
         for _ in range(1, N):
             # All earlier letters turn by one place more, then the next letter is bound.
             grams = (np.roll(grams, 1, axis=-1)[..., None, :] * vectors).reshape(-1, DIMENSIONS)
         self.grams = grams
 
+    def _vector(self, number: int) -> np.ndarray:
+        """A letter's vector; that of a rare one is drawn by its code point."""
+        if number not in self.vectors:
+            if len(self.vectors) > 4 * BLOCK:
+                self.vectors = {k: v for k, v in self.vectors.items() if k < ALPHABET}
+            self.vectors[number] = np.random.default_rng([self.seed, number]).choice(np.array([-1, 1], dtype=np.int8), DIMENSIONS)
+        return self.vectors[number]
+
+    def _bound(self, rows: np.ndarray) -> np.ndarray:
+        """The vectors of n-grams with rare letters."""
+        out = np.ones((len(rows), DIMENSIONS), dtype=np.int8)
+        for k in range(N):
+            out *= np.stack([np.roll(self._vector(x), N - 1 - k) for x in rows[:, k].tolist()])
+        return out
+
     def __getstate__(self) -> dict:
-        return {k: v for k, v in vars(self).items() if k not in ("table", "grams")}
+        return {k: v for k, v in vars(self).items() if k not in ("table", "grams", "vectors")}
 
     def __setstate__(self, state: dict) -> None:
         vars(self).update(state)
@@ -89,11 +103,21 @@ class Profiles:
 
     def bundle(self, code_points: np.ndarray) -> tuple[np.ndarray, bool]:
         """A text's vector, and whether it has a letter."""
-        code = _codes(code_points, self.table)
-        counts = np.bincount(code, minlength=1)
+        grams = _grams(code_points, self.table)
+        plain = (grams < ALPHABET).all(axis=1)
+        power = ALPHABET ** np.arange(N - 1, -1, -1)
+        counts = np.bincount(grams[plain] @ power, minlength=1)
         counts[0] = 0  # nothing but gaps
         at = np.flatnonzero(counts)
-        return counts[at].astype(np.float32) @ self.grams[at].astype(np.float32), len(at) > 0
+        total = np.zeros(DIMENSIONS, dtype=np.float32)
+        for i in range(0, len(at), BLOCK):
+            total += counts[at[i : i + BLOCK]].astype(np.float32) @ self.grams[at[i : i + BLOCK]].astype(np.float32)
+        if not plain.all():
+            rare, times = np.unique(grams[~plain] @ (1 << _BITS * np.arange(N - 1, -1, -1)), return_counts=True)
+            rows = np.stack([rare >> _BITS * k & (1 << _BITS) - 1 for k in range(N - 1, -1, -1)], axis=1)
+            for i in range(0, len(rows), BLOCK):
+                total += times[i : i + BLOCK].astype(np.float32) @ self._bound(rows[i : i + BLOCK]).astype(np.float32)
+        return total, len(at) > 0 or not plain.all()
 
     def predict(self, code_points: np.ndarray) -> tuple[str, float]:
         vector, any_letter = self.bundle(code_points)
@@ -138,6 +162,12 @@ def identify(docs: DataFrame, profiles: Profiles, text: str = "text", key: str =
 
 
 def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The language of every document.
+
+    Null texts and those without a letter are ``und`` with score 0; texts of any length are read whole; ties go to the language
+    that sorts first; repeated rows repeat; an empty table gives an empty result, and one without languages to learn
+    gives ``und``; columns other than doc_id, text and lang are not read.
+    """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "lang")
     out = identify(docs, learn(docs))
     return out.select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
