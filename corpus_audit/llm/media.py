@@ -19,7 +19,8 @@ from pyspark.sql import functions as F
 
 from corpus_audit.llm.common import whole_text
 
-RATE, PACKET, STREAMS, PAGE_SEGMENTS = 8000, 1500, 2, 48
+#: Six lacing values a packet and fifty a page: every ninth packet goes on over a page's end.
+RATE, PACKET, STREAMS, PAGE_SEGMENTS = 8000, 1500, 2, 50
 CONTINUED, FIRST, LAST = 1, 2, 4
 _HEADER = struct.Struct("<4sBBqIIIB")
 _MAGIC = b"RAW8\x00"
@@ -89,7 +90,8 @@ def write_ogg(samples: bytes, serial: int) -> bytes:
 @dataclass
 class LogicalStream:
     serial: int
-    packets: list[tuple[int, bytes]] = field(default_factory=list)  # (end granule, data); the first is the header
+    packets: list[tuple[int, bytes]] = field(default_factory=list)  # (end granule, data), without the header
+    header: bytes | None = None
     pages: int = 0
     partial: bytearray | None = None
     ended: bool = False
@@ -103,12 +105,12 @@ class OggFile:
 
     def timeline(self) -> list[tuple[float, float, int, bytes]]:
         """(start second, end second, serial, data) of all data packets in time order."""
-        timed = [((end - len(data)) / RATE, end / RATE, s.serial, data) for s in self.streams.values() for end, data in s.packets[1:]]
+        timed = [((end - len(data)) / RATE, end / RATE, s.serial, data) for s in self.streams.values() for end, data in s.packets]
         return sorted(timed, key=lambda x: x[:3])
 
     def samples(self) -> bytes:
         """The channels, taken from the streams' header packets, woven together again."""
-        channels = {s.packets[0][1][len(_MAGIC) + 4]: b"".join(data for _, data in s.packets[1:]) for s in self.streams.values() if s.packets}
+        channels = {s.header[len(_MAGIC) + 4]: b"".join(data for _, data in s.packets) for s in self.streams.values() if s.header}
         out = bytearray(sum(map(len, channels.values())))
         for k, own in channels.items():
             out[k::STREAMS] = own
@@ -116,7 +118,11 @@ class OggFile:
 
 
 def read_ogg(raw: bytes) -> OggFile:
-    """Parse a file; pages with a wrong checksum, version or sequence number are counted and skipped."""
+    """Parse a file; pages with a wrong checksum or version are counted and skipped, gaps in the page numbers are counted.
+
+    A packet of which a part is on a lost page is dropped whole: what was held of it, and what a continued page
+    begins with.
+    """
     found = OggFile({}, 0, 0)
     at = 0
     while (at := raw.find(b"OggS", at)) >= 0 and at + _HEADER.size <= len(raw):
@@ -133,16 +139,20 @@ def read_ogg(raw: bytes) -> OggFile:
             stream.partial = None
         stream.pages, found.pages = number + 1, found.pages + 1
         body, done = 27 + segments, []
-        whole = stream.partial if flags & CONTINUED and stream.partial is not None else bytearray()
+        torn = bool(flags & CONTINUED) and stream.partial is None
+        whole = stream.partial if stream.partial is not None else bytearray()
         open_ = False
         for value in lacing:
             whole += page[body : body + value]
             body += value
             open_ = value == 255
             if not open_:
-                done.append(bytes(whole))
-                whole = bytearray()
-        stream.partial = whole if open_ else None
+                if not torn:
+                    done.append(bytes(whole))
+                torn, whole = False, bytearray()
+        stream.partial = whole if open_ and not torn else None
+        if flags & FIRST and done and done[0].startswith(_MAGIC):
+            stream.header = done.pop(0)
         # The granule is the end of the last packet that ends here; each earlier one ends where the next begins.
         ends = granule
         for k in range(len(done) - 1, -1, -1):
@@ -203,6 +213,10 @@ def demux(files: DataFrame, key: str = "doc_id", media: str = "media") -> DataFr
 
 
 def op3_media(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every text's stored form and read-back digests. Repeated rows repeat; a null doc_id stays null."""
+    """Every text's stored form and read-back digests.
+
+    Null and empty texts are 64 bytes of 0; texts of any length are stored whole; repeated rows repeat; a null doc_id stays
+    null; an empty table gives an empty result; columns other than doc_id and text are not read.
+    """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text")).mapInArrow(_digest, _DIGEST)
