@@ -21,9 +21,11 @@ _own_root: list[str] = []
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder of ``spark.checkpoint.dir``; a fresh local one only where that is unset, as in tests."""
+    """The shared folder of ``spark.checkpoint.dir``; a fresh local one only where that is unset and all tasks run in this process, as in tests."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         if not _own_root:
             _own_root.append(f"file://{tempfile.mkdtemp(prefix='corpus_audit_')}")
         root = _own_root[0]

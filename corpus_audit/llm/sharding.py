@@ -78,6 +78,11 @@ def write_shards(docs: DataFrame, path: str, n_shards: int = SHARDS) -> None:
 
 
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Shard and slot of every document.
+
+    Null and empty texts count one byte; texts of any length count whole; ties in the order go by the text's hash; repeated rows get
+    slots of their own; an empty table gives an empty result; columns other than doc_id and text are not read.
+    """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     out = shard_sizes(sizes(docs))
     return out.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))

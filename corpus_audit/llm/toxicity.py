@@ -331,6 +331,11 @@ def score(docs: DataFrame, net: Network, key: str = "doc_id") -> DataFrame:
 
 
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The toxicity of every document.
+
+    Null texts and those without a word score 0; texts of any length are read whole; repeated rows repeat; an empty table gives
+    an empty result, and without labels of both kinds all scores are near 0; columns other than doc_id and text are not read.
+    """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     net = learn(docs, spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "toxic"))
     out = score(docs, net)

@@ -105,7 +105,7 @@ def test_toxicity(spark, docs, labels):
 
 
 def test_mixing(spark, docs, labels):
-    out, domains = mixing.mixed(spark, docs, labels)
+    out, domains, _ = mixing.mixed(spark, docs, labels)
     rows = out.collect()
     assert len(rows) == len(ROWS) and all(abs(sum(r["p"]) - 1) < 1e-9 and r["rate"] >= 0 for r in rows)
     assert mixing.mixed(spark, docs, labels.limit(0))[1] == ["all"]

@@ -229,6 +229,19 @@ def test_damage_is_seen():
     assert media.read_ogg(bytes(raw)).bad_pages > 0
 
 
+def test_packets_go_over_pages_and_torn_ones_are_dropped():
+    samples = os.urandom(60_000)
+    raw = media.write_ogg(samples, 4)
+    starts = [m.start() for m in re.finditer(b"OggS", raw) if raw[m.start() + 4] == 0]
+    pages = [raw[a:b] for a, b in zip(starts, [*starts[1:], len(raw)], strict=True)]
+    assert sum(bool(x[5] & media.CONTINUED) for x in pages) >= 2
+    whole = {(s, a): d for a, _, s, d in media.read_ogg(raw).timeline()}
+    for k in range(len(pages)):  # each page lost in turn: what is left is packets of the whole file at their own times
+        file = media.read_ogg(b"".join(pages[:k] + pages[k + 1 :]))
+        found = {(s, a): d for a, _, s, d in file.timeline()}
+        assert all(whole.get(key) == d for key, d in found.items()) and len(found) < len(whole) + (k < 2)
+
+
 def test_media_query(spark, sf, texts):
     import hashlib
 
@@ -454,12 +467,116 @@ def test_mixing_reaches_its_targets(spark, sf):
     members = mixing.materialize(mixing.memberships(docs, model), "m")
     _, goal, reached = mixing.solve(members, model.domains)
     assert np.abs(goal - reached).max() < 0.01 * goal.sum()
-    out, _ = mixing.mixed(spark, docs, labels)
+    out, _, shares = mixing.mixed(spark, docs, labels)
     rows = out.collect()
+    assert all(abs(goal - got) < 2 * mixing.TOLERANCE for goal, got in shares.values())
     total = np.sum([np.array(r["p"]) * r["rate"] * r["n_tokens"] for r in rows], axis=0)
     assert np.abs(total - reached).max() < 0.01 * goal.sum() and all(abs(r["copies"] - r["rate"]) < 1 for r in rows)
 
 
+@pytest.mark.parametrize("targets", [{"q0t1": 0.5}, {"q1t0": 0.2, "q0t0": 0.5}, {"q1t0": 0.05}])
+def test_mixing_meets_far_targets(spark, sf, targets):
+    docs, labels = spark.read.parquet("/root/testdata/sf0.01/documents.parquet"), spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
+    model = mixing.learn(docs, labels)
+    members = mixing.materialize(mixing.memberships(docs, model), "m")
+    steps, goal, reached = mixing.solve(members, model.domains, targets)
+    rows = members.collect()
+    p, t = np.array([r["p"] for r in rows]), np.array([r["n_tokens"] for r in rows], dtype=float)
+    rate = np.ones(len(p))
+    for v in steps:  # the definition, row by row
+        rate = np.array([max(0.0, r - mixing.STEP * (sum(a * b for a, b in zip(x, v, strict=True)) + mixing.REGULAR * (r - 1))) for r, x in zip(rate, p, strict=True)])
+    assert np.allclose((p * (rate * t)[:, None]).sum(axis=0), reached) and (rate >= 0).all()
+    assert np.abs(reached - goal).max() < 0.01 * goal.sum()
+    assert np.abs(goal / goal.sum() - [targets.get(d, g / goal.sum()) for d, g in zip(model.domains, goal, strict=True)]).max() < 1e-9
+
+
+def test_posteriors_are_the_softmax_of_word_weights():
+    rng = np.random.default_rng(4)
+    model = mixing.Classifier(["a", "b"], rng.standard_normal((mixing.BUCKETS, 2)).astype(np.float32), np.array([0.2, -0.1]))
+    rows = ["One two one", "", "three"]
+    words = kernels.Words(*buffer(*rows), folded=True)
+    got = model.posteriors(words)
+    for k, row in enumerate(rows):
+        own = words.hash[words.first[k] : words.first[k + 1]]
+        z = model.bias + sum((model.weights[mixing.Classifier.rows(np.array([h]))[0]].astype(float) for h in own), np.zeros(2)) / max(1, len(row.split())) ** 0.5
+        assert np.allclose(got[k], np.exp(z) / np.exp(z).sum(), atol=1e-6)
+
+
+def test_predictions_equal_a_plain_reading(spark):
+    texts = {1: "Der Hund läuft schnell", 2: "le chien court vite", 3: "η γάτα τρέχει", 4: "кот бежит", 5: "猫が走る \U00020bb7", 6: "12 34"}
+    model = language.Profiles([texts[1], texts[2], texts[3], texts[4]], ["de", "fr", "el", "ru"])
+
+    def vector(text):
+        clean = " " + "".join(c.lower() if c.isalpha() else " " for c in text) + " "
+        clean = re.sub(" +", " ", clean)
+        total = np.zeros(language.DIMENSIONS)
+        for i in range(len(clean) - 2):
+            bound = np.ones(language.DIMENSIONS)
+            for k, c in enumerate(clean[i : i + 3]):
+                bound *= np.roll(model._vector(int(model.table[ord(c)])), 2 - k)
+            total += bound
+        return total
+
+    prototypes = {lang: vector(texts[i]) for lang, i in (("de", 1), ("fr", 2), ("el", 3), ("ru", 4))}
+    out = {r["doc_id"]: r for r in language.identify(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), model).collect()}
+    for i, text in texts.items():
+        if i == 6:
+            assert out[i]["lang_pred"] == "und"
+            continue
+        v = vector(text)
+        cosine = {lang: float(v @ q / np.linalg.norm(v) / np.linalg.norm(q)) for lang, q in prototypes.items()}
+        assert abs(out[i]["score"] - max(0.0, max(cosine.values()))) < 1e-4
+        assert cosine[out[i]["lang_pred"]] > max(cosine.values()) - 1e-4
+    assert [out[i]["lang_pred"] for i in (1, 2, 3, 4)] == ["de", "fr", "el", "ru"]
+
+
+def test_rare_letters_are_not_one():
+    model = language.Profiles(["abc " * 50], ["x"])
+    numbers = {int(model.table[ord(c)]) for c in "ñßжλ漢字\U00030000"}
+    assert len(numbers) == 7 and all(n > language.ALPHABET for n in numbers)
+
+
+def test_scores_equal_a_plain_forward_pass(spark):
+    rng = np.random.default_rng(9)
+    net = toxicity.Network(4)
+    net.shift = 0.3
+    texts = {1: " ".join(f"w{k} Word{k % 7}" for k in range(30)), 2: "short one", 3: "", 4: None}
+    sigmoid = lambda x: 1 / (1 + np.exp(-x))
+
+    def plain(text):
+        words = WORD.findall((text or "").translate(FOLD))
+        if not words:
+            return 0.0
+        inputs = toxicity.Inputs(*buffer(" ".join(words)))
+        h, logits = toxicity.HIDDEN, []
+        starts = range(0, max(1, len(words) - (toxicity.WINDOW - toxicity.STRIDE)), toxicity.STRIDE)
+        for s in starts:
+            ids = inputs.word_id[s : s + toxicity.WINDOW]
+            x = []
+            for w in ids:
+                grams = inputs.grams[inputs.gram_start[w] : inputs.gram_start[w + 1]]
+                char = net.p["char"][grams].mean(axis=0) if len(grams) else np.zeros(toxicity.CHAR_DIM)
+                x.append(np.concatenate([net.p["word"][inputs.word_row[w]], char]) @ net.p["input"] + net.p["bias"])
+            both = []
+            for side, u in enumerate((net.p["fore"], net.p["back"])):
+                state, out = np.zeros(h), {}
+                for t in range(len(x)) if side == 0 else range(len(x) - 1, -1, -1):
+                    a, g = x[t][side * 3 * h : (side + 1) * 3 * h], state @ u
+                    z, r = sigmoid(a[:h] + g[:h]), sigmoid(a[h : 2 * h] + g[h : 2 * h])
+                    new = np.tanh(a[2 * h :] + r * g[2 * h :])
+                    state = z * state + (1 - z) * new
+                    out[t] = state
+                both.append([out[t] for t in range(len(x))])
+            states = np.concatenate(both, axis=1)
+            weight = np.exp(states @ net.p["query"])
+            logits.append((weight / weight.sum()) @ states @ net.p["out"] + net.p["out_bias"][0])
+        return sigmoid(max(logits) + net.shift)
+
+    out = {r["doc_id"]: r["score"] for r in toxicity.score(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), net).collect()}
+    for i, text in texts.items():
+        assert abs(out[i] - plain(text)) < 1e-4
+
+
 # --- packing ------------------------------------------------------------------------------------------
 def test_pieces_are_the_tokenizers(spark, sf, texts):
     from tokenizers import Tokenizer
