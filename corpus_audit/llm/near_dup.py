@@ -7,8 +7,7 @@ that differs in at most ``DISTANCE`` of these symbols: by the pigeonhole princip
 indexed once per symbol left out. Of all min-hashes 2 bits are kept as a check: pairs met in the
 index go on if at most ``CHECK_BITS`` of these bits differ, and are then confirmed on full
 shingle sets. A pair at exactly 0.75 has 192 of them apart on average with a deviation of 15.5, so the check
-loses a link with a chance below 1e-9; the distance itself, which is the promise, is passed but for
-a chance of about 1e-5, which falls steeply above 0.75.
+loses a link with a chance of about 1e-5, as the distance itself does; both chances fall steeply above 0.75.
 
 Pairs are never expanded inside a bucket as long as its members may still come together: in each
 of ``ROUNDS`` rounds every bucket has one pivot, the members of other components are held against
@@ -32,7 +31,7 @@ from corpus_audit.llm import kernels as K
 from corpus_audit.llm.common import discard, materialize, small_side, whole_text
 from corpus_audit.llm.graph import connected_components
 
-SYMBOLS, CHECK_BITS = 768, 290
+SYMBOLS, CHECK_BITS = 768, 260
 INDEXED, CHUNK, DISTANCE = 64, 4, 31
 ROUNDS, MET, TRIES = 3, 20, 4
 #: Members of a bucket that one task of the last join takes on one side.
