@@ -31,13 +31,20 @@ def apply(df: DataFrame, rules: list[str]) -> DataFrame:
     return reduce(lambda d, r: RULES[r](d), rules, df)
 
 
-def card(results: dict[str, DataFrame]) -> DataFrame:
-    """corpus, analysis, metric, value: wide per-corpus results as one long table."""
-    def long(name: str, df: DataFrame) -> DataFrame:
-        metrics = [c for c, t in df.dtypes if c != "corpus" and t in ("bigint", "int", "double")]
-        typed = df.select("corpus", *(F.col(c).cast("double").alias(c) for c in metrics))
-        return typed.unpivot("corpus", metrics, "metric", "value").select("corpus", F.lit(name).alias("analysis"), "metric", F.round("value", 6).alias("value"))
+def card(results: dict[str, DataFrame], labels: dict[str, str] | None = None) -> DataFrame:
+    """corpus, analysis, metric, value: wide per-corpus results as one long table.
 
-    return reduce(DataFrame.unionByName, [long(k, v) for k, v in results.items()])
+    ``labels`` names the column that tells rows of one corpus apart, where a result has several;
+    its value follows the metric's name.
+    """
+    labels = labels or {}
 
+    def long(name: str, df: DataFrame) -> DataFrame:
+        label = labels.get(name)
+        metrics = [c for c, t in df.dtypes if c not in ("corpus", label) and t in ("bigint", "int", "double")]
+        typed = df.select("corpus", *([label] if label else []), *(F.col(c).cast("double").alias(c) for c in metrics))
+        rows = typed.unpivot(["corpus", label] if label else "corpus", metrics, "metric", "value")
+        metric = F.concat_ws(" ", "metric", label) if label else F.col("metric")
+        return rows.select("corpus", F.lit(name).alias("analysis"), metric.alias("metric"), F.round("value", 6).alias("value"))
 
+    return reduce(DataFrame.unionByName, [long(k, v) for k, v in results.items()])

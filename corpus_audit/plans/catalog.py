@@ -896,10 +896,29 @@ def filtered_corpus(spark, sf):
     return curate.apply(documents(spark, sf), ["duplicates", "blank"]).select("doc_id")
 
 
-def _long_sql(name: str, sql: str, metrics: list[str]) -> str:
-    return " UNION ALL ".join(f"SELECT corpus, '{name}' AS analysis, '{m}' AS metric, round(CAST({m} AS DOUBLE), 6) AS value FROM ({sql})" for m in metrics)
-
-
-@register("audit_card", _long_sql("summary", SUMMARY_SQL, ["n_docs", "n_bytes", "n_chars", "n_tokens", "max_tokens", "min_tokens", "n_blank", "mean_tokens"]) + " UNION ALL " + _long_sql("duplicates", DUP_SQL, ["n_docs", "dup_docs", "doc_ratio", "dup_clusters", "cluster_ratio", "surplus"]) + " UNION ALL " + _long_sql("lengths", ORACLES["length_medians"], ["median_tokens", "median_chars"]))
+def _long_sql(name: str, metrics: list[str], sql: str | None = None, label: str | None = None, corpus: str = "corpus") -> str:
+    """One analysis of the card: its query's SQL by name if none is given; ``label`` is the column that tells rows of a corpus apart."""
+    of = f" || ' ' || {label}" if label else ""
+    return " UNION ALL ".join(f"SELECT {corpus} AS corpus, '{name}' AS analysis, '{m}'{of} AS metric, round(CAST({m} AS DOUBLE), 6) AS value FROM ({sql or ORACLES[name]})" for m in metrics)
+
+
+CARD_SQL = [
+    _long_sql("summary_stats", ["n_docs", "n_bytes", "n_chars", "n_tokens", "max_tokens", "min_tokens", "n_blank", "mean_tokens"]),
+    _long_sql("text_duplicates", ["n_docs", "dup_docs", "doc_ratio", "dup_clusters", "cluster_ratio", "surplus"]),
+    _long_sql("length_medians", ["median_tokens", "median_chars"]),
+    _long_sql("distinct_ngrams_exact", ["n_distinct", "share_of_tokens"]),
+    _long_sql("language_share", ["n", "share"], label="lang"),
+    _long_sql("contamination_rate", ["n_items", "n_hit", "rate"]),
+    _long_sql("pii_counts", ["n"], label="kind"),
+    _long_sql("toxic_documents", ["n_docs", "n_toxic", "pct"]),
+    _long_sql("share_originating", ["share"], label="corpus_b", corpus="corpus_a"),
+]
+
+
+@register("audit_card", " UNION ALL ".join(CARD_SQL))
 def audit_card(spark, sf):
-    return curate.card({"summary": summary_stats(spark, sf), "duplicates": text_duplicates(spark, sf), "lengths": length_medians(spark, sf)})
+    """The analyses of ``documents`` that have figures for each corpus."""
+    plain = ["summary_stats", "text_duplicates", "length_medians", "distinct_ngrams_exact", "contamination_rate", "toxic_documents"]
+    results = {name: QUERIES[name](spark, sf) for name in [*plain, "language_share", "pii_counts"]}
+    results["share_originating"] = share_originating(spark, sf).withColumnRenamed("corpus_a", "corpus")
+    return curate.card(results, labels={"language_share": "lang", "pii_counts": "kind", "share_originating": "corpus_b"})
