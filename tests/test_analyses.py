@@ -202,3 +202,10 @@ def test_classifier_scores_sentences_within_the_row(spark):
     rows = [(1, "Fine day. You moron! Next"), (2, "Fine day."), (3, None), (4, "")]
     out = {r["doc_id"]: (r["toxic"], r["score"]) for r in toxicity.classify(spark.createDataFrame(rows, "doc_id long, text string"), {"": -1.0, "moron": 3.0, "fine": -0.5}).collect()}
     assert out[1] == (1, 2.0) and out[2] == (0, -1.5) and out[3][0] == out[4][0] == 0
+
+
+def test_card(spark):
+    plain = spark.createDataFrame([("a", 3, 0.5), ("b", 1, None)], "corpus string, n_docs long, ratio double")
+    labelled = spark.createDataFrame([("a", "en", 2), ("a", "fr", 1), (None, "en", 1)], "corpus string, lang string, n long")
+    found = {(r["corpus"], r["analysis"], r["metric"]): r["value"] for r in curate.card({"s": plain, "l": labelled}, labels={"l": "lang"}).collect()}
+    assert found == {("a", "s", "n_docs"): 3, ("a", "s", "ratio"): 0.5, ("b", "s", "n_docs"): 1, ("b", "s", "ratio"): None, ("a", "l", "n en"): 2, ("a", "l", "n fr"): 1, (None, "l", "n en"): 1}
