@@ -77,6 +77,24 @@ def cells(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.parquet(f"{path}/cells").groupBy("cell").agg(F.sum("cnt").alias("cnt"))
 
 
+def merge_sessions(events: DataFrame, path: str, gap: str = "30 minutes") -> None:
+    """Add each batch's own sessions to a table partitioned by batch; a repeated batch replaces its own part. No event is late."""
+
+    def store(batch: DataFrame, batch_id: int) -> None:
+        sessions(batch, gap).write.mode("overwrite").parquet(f"{path}/sessions/batch={batch_id}")
+
+    events.writeStream.foreachBatch(store).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start().awaitTermination()
+
+
+def merged_sessions(spark: SparkSession, path: str) -> DataFrame:
+    """As ``sessions`` over all batches so far: those of different batches that meet are one."""
+    schema = "user_id long, session_start timestamp, session_end timestamp, n long"
+    length = F.expr("make_interval(0, 0, 0, 0, 0, 0, CAST(unix_micros(session_end) - unix_micros(session_start) AS DECIMAL(20, 0)) / 1000000)")
+    parts = spark.read.schema(schema).parquet(f"{path}/sessions")
+    merged = parts.groupBy("user_id", F.session_window("session_start", length).alias("s")).agg(F.sum("n").alias("n"))
+    return merged.select("user_id", F.col("s.start").alias("session_start"), F.col("s.end").alias("session_end"), "n")
+
+
 def append_index(docs: DataFrame, path: str) -> None:
     """Append each batch's postings; a repeated batch replaces its own part."""
 

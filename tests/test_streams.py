@@ -1,8 +1,10 @@
 """Late rows, repeated runs and running state of the streams."""
 
+import duckdb
 from pyspark.sql import functions as F
 
 from corpus_audit.counting.hashed import HashSpec, cell_counts
+from corpus_audit.plans.registry import ORACLES, QUERIES
 from corpus_audit.sources.io import documents
 from corpus_audit.streaming import streams
 from corpus_audit.text.ngrams import grams
@@ -34,3 +36,21 @@ def test_index_and_running_distinct(spark, sf, tmp_path):
     last = streams.drained(streams.running_distinct(docs, 1 << 15), "update").groupBy("corpus").agg(F.max("set_cells").alias("n"))
     want = grams(documents(spark, sf), 1, keep=["corpus"]).groupBy("corpus").agg(F.countDistinct(HashSpec(1 << 15).cell("gram")).alias("n"))
     assert last.exceptAll(want).count() == 0
+
+
+def test_sessions_meet_over_batches_and_no_event_is_late(spark, tmp_path):
+    """Files out of order in time; the third joins sessions of the first two, and ends that touch join too, as in the SQL."""
+    files = [
+        [(1, "2024-01-05 00:00:00.000001"), (1, "2024-01-05 00:50:00"), (None, "2024-01-05 00:00:00")],
+        [(1, "2024-01-01 10:00:00"), (2, "2024-01-01 10:00:00.5"), (None, "2024-01-05 00:30:00.000001")],
+        [(1, "2024-01-05 00:25:00"), (2, "2024-01-01 10:30:00.5"), (1, "2024-01-01 10:30:00.000001")],
+    ]
+    for k, rows in enumerate(files):
+        spark.createDataFrame(rows, "user_id long, t string").select("user_id", F.to_timestamp_ntz("t").alias("ts")).coalesce(1).write.mode("append").parquet(f"{tmp_path}/events.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
+    want = con.sql(ORACLES["stream_sessions"]).fetchall()
+    held = {t.name for t in spark.catalog.listTables()}
+    got = QUERIES["stream_sessions"](spark, str(tmp_path)).select("user_id", "session_start", "session_end", "n")
+    assert {t.name for t in spark.catalog.listTables()} == held, "rows are kept on the driver"
+    assert sorted(map(tuple, got.collect()), key=repr) == sorted(want, key=repr) and len(want) == 6
