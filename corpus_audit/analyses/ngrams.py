@@ -10,12 +10,15 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from corpus_audit.counting import narrow
 from corpus_audit.counting.exact import bottom, tally, top
 from corpus_audit.counting.hashed import HashSpec, cell_counts, hot_cells
 from corpus_audit.text.ngrams import grams, window_rows
 
 #: Cells up to which a list of cells is broadcast; they are counted before the hint is given.
 BROADCAST_CELLS = 1_000_000
+#: Tokens from which exact counts go by keys: shuffled strings would take ``n`` times the text.
+NARROW_FROM = 10
 #: Candidates that each task of the sweep keeps, as a multiple of k.
 SWEEP_KEEP = 8
 
@@ -30,6 +33,8 @@ def bottom_exact(df: DataFrame, n: int, k: int) -> DataFrame:
 
 def top_by_corpus(df: DataFrame, n: int, k: int) -> DataFrame:
     """corpus, gram, cnt, rnk: the k most frequent n-grams of each corpus."""
+    if n >= NARROW_FROM:
+        return narrow.top(df, n, k)
     counted = tally(grams(df, n, keep=["corpus"]), ["corpus", "gram"])
     return counted.withColumn("rnk", F.row_number().over(W.partitionBy("corpus").orderBy(F.desc("cnt"), "gram"))).filter(F.col("rnk") <= k)
 

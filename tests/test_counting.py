@@ -1,15 +1,20 @@
 """Hand counts and invariants of the counting methods on toy corpora."""
 
+import random
+
 import pytest
 from hypothesis import HealthCheck, given, settings
 from hypothesis import strategies as st
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from corpus_audit.analyses import ngrams, stats
-from corpus_audit.counting import accuracy
+from corpus_audit.counting import accuracy, narrow
+from corpus_audit.counting.exact import tally
 from corpus_audit.counting.hashed import U32_MAX, HashSpec, cell_counts, occupancy
 from corpus_audit.sources.io import CORE_SCHEMA
 from corpus_audit.text import ngrams as text_ngrams
+from corpus_audit.text.ngrams import grams
 from corpus_audit.text.tokenize import tokens
 
 
@@ -105,3 +110,20 @@ def test_chunked_ngrams_are_the_same(spark, words, n, size):
 
 def test_seeds_agree(spark):
     assert accuracy.seed_agreement(corpus(spark, TOY), "text").count() == 0
+
+
+def test_long_grams_are_counted_by_keys(spark, tmp_path, monkeypatch):
+    """Null and small corpora, ties in several runs, shared keys and long texts, against counts of the strings; no string of a rare window is shuffled."""
+    rng = random.Random(5)
+    passages = [" ".join(rng.choice("abcdéz") + str(rng.randrange(9)) for _ in range(40)) for _ in range(60)]
+    rows = [(i, rng.choice(["x", "y", None]), "\x01 ".join(rng.choices(passages, k=rng.randrange(6)))) for i in range(300)]
+    rows += [(1000, "alone", "a b c d e f g h i j k l"), (1001, "short", "a b"), (1002, "y", None), (1003, "alone", "b c d e f g h i j k a a")]
+    df = spark.createDataFrame(rows, "doc_id long, corpus string, text string").repartition(3)
+    monkeypatch.setattr(narrow, "TIED_KEYS", 700)
+    for n, k, widths in ((10, 900, (narrow.KEY_BITS, 9)), (10, 100_000, (narrow.KEY_BITS,)), (100, 5, (narrow.KEY_BITS,))):
+        counted = tally(grams(df, n, keep=["corpus"]), ["corpus", "gram"]).withColumn("rnk", F.row_number().over(Window.partitionBy("corpus").orderBy(F.desc("cnt"), "gram"))).filter(F.col("rnk") <= k)
+        want = sorted(map(tuple, counted.collect()), key=repr)
+        for bits in widths:
+            assert sorted(map(tuple, narrow.top(df, n, k, bits).collect()), key=repr) == want and want
+    plan = ngrams.top_by_corpus(df, 10, 5)._jdf.queryExecution().optimizedPlan().toString()
+    assert "array_join" not in plan, "strings of all windows are grouped"
