@@ -24,6 +24,8 @@ SWEEP_KEEP = 8
 
 
 def top_exact(df: DataFrame, n: int, k: int) -> DataFrame:
+    if n >= NARROW_FROM:
+        return narrow.top(df.withColumn("corpus", F.lit("")), n, k).select("gram", "cnt").orderBy(F.desc("cnt"), "gram")
     return top(tally(grams(df, n), ["gram"]), k)
 
 

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from corpus_audit.analyses import ngrams, stats
 from corpus_audit.counting import accuracy, narrow
-from corpus_audit.counting.exact import tally
+from corpus_audit.counting.exact import tally, top
 from corpus_audit.counting.hashed import U32_MAX, HashSpec, cell_counts, occupancy
 from corpus_audit.sources.io import CORE_SCHEMA
 from corpus_audit.text import ngrams as text_ngrams
@@ -127,3 +127,11 @@ def test_long_grams_are_counted_by_keys(spark, tmp_path, monkeypatch):
             assert sorted(map(tuple, narrow.top(df, n, k, bits).collect()), key=repr) == want and want
     plan = ngrams.top_by_corpus(df, 10, 5)._jdf.queryExecution().optimizedPlan().toString()
     assert "array_join" not in plan, "strings of all windows are grouped"
+
+
+def test_longest_grams_are_not_grouped_as_strings(spark):
+    texts = [" ".join(f"w{i % 7}" for i in range(230)), "b " * 120, "", None]
+    df = corpus(spark, texts)
+    got = ngrams.top_exact(df, 100, 8)
+    assert [tuple(r) for r in got.collect()] == [tuple(r) for r in top(tally(grams(df, 100), ["gram"]), 8).collect()]
+    assert "array_join" not in got._jdf.queryExecution().optimizedPlan().toString(), "strings of all windows are grouped"
